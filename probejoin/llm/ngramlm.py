@@ -29,6 +29,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from probejoin.llm.blocks import blocked, blocks_of, pack_keys, packed, slices, texts_of, unpack_keys, unpacked, unzipped
 from probejoin.llm.common import BASES, crc_mod_py, mix64, prefix_hash, shared_folder, span_hash
 
 END, BEGIN = np.uint64(0x5851F42D4C957F2D), np.uint64(0x14057B7EF767814F)
@@ -37,37 +38,6 @@ STEPS, LEVELS = 4, 160
 PIECE = 1 << 20
 
 
-def _zip(data: bytes) -> bytes:
-    import zstandard
-
-    return zstandard.ZstdCompressor(level=1).compress(data)
-
-
-def _unzip(data: bytes) -> bytes:
-    import zstandard
-
-    return zstandard.ZstdDecompressor().decompress(data)
-
-
-def packed(values: np.ndarray) -> bytes:
-    """Fixed-width numbers with equal bytes together, compressed."""
-    return _zip(np.ascontiguousarray(values.view(np.uint8).reshape(len(values), -1).T).tobytes())
-
-
-def unpacked(data: bytes, kind) -> np.ndarray:
-    planes = np.frombuffer(_unzip(data), np.uint8).reshape(np.dtype(kind).itemsize, -1)
-    return np.ascontiguousarray(planes.T).view(kind).reshape(-1)
-
-
-def pack_keys(keys: np.ndarray) -> bytes:
-    """Rising 64-bit keys as differences."""
-    return packed(np.diff(keys, prepend=np.uint64(0)))
-
-
-def unpack_keys(data: bytes) -> np.ndarray:
-    return np.cumsum(unpacked(data, np.uint64), dtype=np.uint64)
-
-
 def words(data: bytes) -> np.ndarray:
     """Hashes of the words of lower-cased bytes, piece by piece, cut at white space."""
     out, at = [], 0
@@ -128,42 +98,6 @@ def pairs(flat: np.ndarray, sizes: np.ndarray) -> np.ndarray:
     return mix64(before * np.uint64(0x9E3779B97F4A7C15) + (flat ^ (flat >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9))
 
 
-def _slices(keys: np.ndarray, buckets: int) -> np.ndarray:
-    """Where each bucket's share of rising keys begins, and the end."""
-    edges = (np.arange(1, buckets, dtype=np.float64) * (2.0**64 / buckets)).astype(np.uint64)
-    return np.concatenate(([0], np.searchsorted(keys, edges), [len(keys)]))
-
-
-def _texts(blobs: list[bytes]) -> tuple[list, list[str | None]]:
-    ids, texts = [], []
-    for blob in blobs:
-        got = pa.ipc.open_stream(_unzip(blob)).read_all()
-        ids += got.column(0).to_pylist()
-        texts += got.column(1).to_pylist()
-    return ids, texts
-
-
-def blocked(docs: DataFrame, id_col: str, text_col: str, n: int) -> DataFrame:
-    """Rows (block, blob): texts with their ids, those of a block within a batch packed together."""
-    rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"), F.pmod(F.xxhash64(id_col, text_col), F.lit(n)).cast("int").alias("block"))
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            block = batch.column(2).to_numpy()
-            order = np.argsort(block, kind="stable")
-            own, starts = np.unique(block[order], return_index=True)
-            blobs = []
-            for part in np.split(order, starts[1:]):
-                sub = pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(part)), batch.column(1).take(pa.array(part))], ["id", "text"])
-                sink = pa.BufferOutputStream()
-                with pa.ipc.new_stream(sink, sub.schema) as w:
-                    w.write_batch(sub)
-                blobs.append(_zip(sink.getvalue()))
-            yield pa.RecordBatch.from_arrays([pa.array(own, pa.int32()), pa.array(blobs, pa.binary())], ["block", "blob"])
-
-    return rows.mapInArrow(run, "block int, blob binary")
-
-
 def _keys(order: int, flat: np.ndarray, sizes: np.ndarray) -> np.ndarray:
     return flat if order == 1 else pairs(flat, sizes)
 
@@ -172,7 +106,7 @@ def answers(parts: DataFrame, n_buckets: int, fold: int, folds: int) -> DataFram
     """Rows (block, bucket, ord, counts): training counts of each block's keys in their order."""
 
     def ask(table: pa.Table) -> pa.Table:
-        ids, texts = _texts(table["blob"].to_pylist())
+        ids, texts = texts_of(table["blob"].to_pylist())
         block = table["block"][0].as_py()
         flat, sizes = tokens(texts)
         trained = np.repeat(np.array([crc_mod_py(i, folds) != fold for i in ids], np.bool_), sizes)
@@ -180,7 +114,7 @@ def answers(parts: DataFrame, n_buckets: int, fold: int, folds: int) -> DataFram
         for order in (1, 2):
             keys, at = np.unique(_keys(order, flat, sizes), return_inverse=True)
             n = np.bincount(at[trained], minlength=len(keys)).astype(np.uint32)
-            cut = _slices(keys, n_buckets)
+            cut = slices(keys, n_buckets)
             rows += [(block, b, order, pack_keys(keys[cut[b] : cut[b + 1]]), packed(n[cut[b] : cut[b + 1]])) for b in range(n_buckets) if cut[b] < cut[b + 1]]
         kinds = (("block", pa.int32()), ("bucket", pa.int32()), ("ord", pa.int32()), ("keys", pa.binary()), ("n", pa.binary()))
         return pa.table({name: pa.array([r[k] for r in rows], kind) for k, (name, kind) in enumerate(kinds)})
@@ -210,15 +144,13 @@ def _level(value: np.ndarray) -> np.ndarray:
 
 def counted(docs: DataFrame, id_col: str, text_col: str, fold: int, folds: int, block_bytes: int) -> DataFrame:
     """Written table: for each document its counts, and for each block a histogram of left-out events."""
-    size = docs.agg(F.sum(F.octet_length(text_col))).first()[0] or 0
-    grown = max(block_bytes, int(math.sqrt(size) * 64))
-    n = max(1, -(-size // grown))
+    n = blocks_of(docs, text_col, block_bytes)
     parts = blocked(docs, id_col, text_col, n)
     id_kind = docs.schema[id_col].dataType
     schema = T.StructType([T.StructField("id", id_kind), T.StructField("held_out", T.BooleanType()), T.StructField("n_tokens", T.LongType()), T.StructField("n_known", T.LongType()), T.StructField("logs", T.DoubleType()), T.StructField("types", T.DoubleType()), T.StructField("pair_counts", T.BinaryType()), T.StructField("word_counts", T.BinaryType()), T.StructField("begins", T.LongType()), T.StructField("cells", T.BinaryType()), T.StructField("weights", T.BinaryType())])
 
     def join(left: pa.Table, right: pa.Table) -> pa.Table:
-        ids, texts = _texts(left["blob"].to_pylist())
+        ids, texts = texts_of(left["blob"].to_pylist())
         flat, sizes = tokens(texts)
         held_out = np.array([crc_mod_py(i, folds) == fold for i in ids], np.bool_)
         got = {}
@@ -243,7 +175,7 @@ def counted(docs: DataFrame, id_col: str, text_col: str, fold: int, folds: int,
         m = len(ids)
         cut = np.append(first, len(word))
         blob = lambda x, k: packed(x[cut[k] : cut[k + 1]].astype(np.uint64))
-        id_type = pa.ipc.open_stream(_unzip(left["blob"][0].as_py())).schema.field(0).type
+        id_type = pa.ipc.open_stream(unzipped(left["blob"][0].as_py())).schema.field(0).type
         none = pa.nulls(1, pa.binary())
         table = pa.table({
             "id": pa.array(ids, id_type), "held_out": pa.array(held_out), "n_tokens": pa.array(sizes.astype(np.int64)), "n_known": pa.array(known), "logs": pa.array(logs), "types": pa.array(types),

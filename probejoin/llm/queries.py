@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from probejoin.llm import bpe, decontam, htmltext, langid, ngramlm, unigram, warc
+from probejoin.llm import bpe, decontam, htmltext, langid, ngramlm, sufdedup, unigram, warc
 from probejoin.llm.common import table
 
 
@@ -28,6 +28,10 @@ def op4_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return unigram.count_tokens(table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"))
 
 
+def op5_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sufdedup.repeats(table(spark, sf_dir, "documents"))
+
+
 def op6_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngramlm.score(table(spark, sf_dir, "documents"))
 
@@ -40,5 +44,5 @@ def op8_html_extract(spark: SparkSession, sf_dir: str) -> DataFrame:
     return htmltext.extract(table(spark, sf_dir, "pages"))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_bpe_encode, op2_decontaminate, op3_language_id, op4_token_counts, op6_lm_score, op7_warc, op8_html_extract)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_bpe_encode, op2_decontaminate, op3_language_id, op4_token_counts, op5_suffix_dedup, op6_lm_score, op7_warc, op8_html_extract)}
 ORACLES: dict[str, str] = {}
