@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from probejoin.llm import bpe, decontam, htmltext, langid, ngramlm, sufdedup, unigram, warc
+from probejoin.llm import bpe, decontam, htmltext, jaccard, langid, ngramlm, sufdedup, unigram, warc
 from probejoin.llm.common import table
 
 
@@ -44,5 +44,9 @@ def op8_html_extract(spark: SparkSession, sf_dir: str) -> DataFrame:
     return htmltext.extract(table(spark, sf_dir, "pages"))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_bpe_encode, op2_decontaminate, op3_language_id, op4_token_counts, op5_suffix_dedup, op6_lm_score, op7_warc, op8_html_extract)}
+def op9_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard.join(table(spark, sf_dir, "documents"))
+
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_bpe_encode, op2_decontaminate, op3_language_id, op4_token_counts, op5_suffix_dedup, op6_lm_score, op7_warc, op8_html_extract, op9_jaccard_join)}
 ORACLES: dict[str, str] = {}
