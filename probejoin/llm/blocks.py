@@ -54,13 +54,13 @@ def slices(keys: np.ndarray, buckets: int) -> np.ndarray:
 
 
 def texts_of(blobs: list[bytes]) -> tuple[list, list[str | None]]:
-    """Ids and texts of a block by id and text, so that places in a block hold in every pass, however its parts arrive."""
+    """Ids and texts of a block by text and id, so that places in a block hold in every pass, however its parts arrive."""
     ids, texts = [], []
     for blob in blobs:
         got = pa.ipc.open_stream(unzipped(blob)).read_all()
         ids += got.column(0).to_pylist()
         texts += got.column(1).to_pylist()
-    order = sorted(range(len(ids)), key=lambda k: (ids[k] is None, 0 if ids[k] is None else ids[k], texts[k] or ""))
+    order = sorted(range(len(ids)), key=lambda k: (texts[k] or "", repr(ids[k])))
     return [ids[k] for k in order], [texts[k] for k in order]
 
 

@@ -26,9 +26,8 @@ from probejoin.llm.common import shared_folder
 ALPHABET = "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567"  # fixed values of base32
 
 
-def base32_sha1(data: Column) -> Column:
-    """Upper-case base32 of the SHA-1 of data: 160 bits are eight groups of four letters."""
-    digest = F.sha1(data)
+def base32(digest: Column) -> Column:
+    """Upper-case base32 of a SHA-1 in hex: 160 bits are eight groups of four letters."""
 
     def letters(group: Column) -> Column:
         value = F.conv(F.substr(digest, group * F.lit(5) + F.lit(1), F.lit(5)), 16, 10).cast("int")
@@ -56,11 +55,12 @@ def _header(kind: str) -> Column:
 def write(pages: DataFrame, folder: str, id_col: str = "page_id", url_col: str = "url", payload_col: str = "html", revisit_from: int = 0) -> None:
     """Write the archive below folder, which executors share."""
     payload = F.coalesce(F.col(payload_col).cast("binary"), F.lit("").cast("binary"))
-    rows = pages.select(F.col(id_col).alias("id"), F.col(url_col).alias("url"), payload.alias("payload")).select("*", F.sha2("payload", 256).alias("address"), F.octet_length("payload").cast("long").alias("payload_bytes"))
+    rows = pages.select(F.col(id_col).alias("id"), F.col(url_col).alias("url"), payload.alias("payload")).select("*", F.unhex(F.sha2("payload", 256)).alias("address"), F.octet_length("payload").cast("long").alias("payload_bytes"))
     firsts = rows.groupBy("address").agg(F.min("id").alias("first"))
     marked = (
-        rows.select("id", "url", "address", "payload_bytes", base32_sha1(F.col("payload")).alias("payload_digest"))
+        rows.select("id", "url", "address", "payload_bytes", F.unhex(F.sha1("payload")).alias("sha1"))
         .join(firsts, "address")
+        .withColumn("payload_digest", base32(F.lower(F.hex("sha1"))))
         .withColumn("revisits", (F.col("payload_bytes") >= revisit_from) & ~F.coalesce(F.col("id").eqNullSafe(F.col("first")), F.lit(False)))
     )
     records = marked.select("id", "address", F.when(F.col("revisits"), _header("revisit")).otherwise(_header("response")).cast("binary").alias("header"))
@@ -76,7 +76,7 @@ def read(spark, folder: str) -> DataFrame:
     text = F.col("header").cast("string")
     field = lambda name: F.regexp_extract(text, rf"\r\n{name}: ([^\r]*)\r\n", 1)
     id_type = records.schema["id"].dataType
-    checked = payloads.select("address", "payload", (F.sha2("payload", 256) == F.col("address")).alias("sound"), base32_sha1(F.col("payload")).alias("own_digest"))
+    checked = payloads.select("address", "payload", (F.unhex(F.sha2("payload", 256)) == F.col("address")).alias("sound"), F.unhex(F.sha1("payload")).alias("sha1"))
     refers = F.regexp_extract(field("WARC-Refers-To"), "^<urn:record:(.*)>$", 1)
     return records.join(checked, "address").select(
         "id",
@@ -85,7 +85,7 @@ def read(spark, folder: str) -> DataFrame:
         F.regexp_extract(field("WARC-Payload-Digest"), "^sha1:(.*)$", 1).alias("payload_digest"),
         F.octet_length("payload").cast("long").alias("payload_bytes"),
         F.concat("header", F.when(field("WARC-Type") == "response", F.col("payload")).otherwise(F.lit("").cast("binary")), F.lit("\r\n\r\n").cast("binary")).alias("record"),
-        (F.col("sound") & (F.col("own_digest") == F.regexp_extract(field("WARC-Payload-Digest"), "^sha1:(.*)$", 1))).alias("verified"),
+        (F.col("sound") & (base32(F.lower(F.hex("sha1"))) == F.regexp_extract(field("WARC-Payload-Digest"), "^sha1:(.*)$", 1))).alias("verified"),
     )
 
 
