@@ -11,11 +11,11 @@ indexed by its least hashed shingles instead (two similar sets share one of thos
 other such sets there. Which allocation a band uses is decided by what it costs: deletions for
 small sets, whose exact segments would mostly be empty, exact segments for the rest.
 
-Equal sets are one vertex. Candidate pairs are first held against the sizes and the counts of
-shingles by hash range (the sum of their differences is at most the number of differences),
-then verified on the whole sets. A group of equal signatures with more than `few` members is
+Equal sets are one vertex. Candidate pairs are first held against the sizes and the parities
+of shingles by hash range (those that differ are at most as many as the differences), then
+verified on the whole sets. A group of equal signatures with more than `few` members is
 not expanded: its members are linked to its least member, and only pairs that are still in
-different components after that are compared, in tiles, by counts first.
+different components after that are compared, in tiles, by parities first.
 
 Shingles are 64-bit hashes of words' hashes; two that clash would be one. Everything else is
 exact: no partner or group is dropped.
@@ -109,9 +109,23 @@ def digests(value: np.ndarray, start: np.ndarray) -> tuple[np.ndarray, np.ndarra
     return out[0], out[1]
 
 
-def counters(n: int) -> int:
-    """Number of hash ranges whose counts are kept for a set of n."""
-    return 1 << min(14, max(4, int(n).bit_length() - 3))
+def parities(h: np.ndarray) -> bytes:
+    """For each of some 4 to 8 hash ranges a shingle, whether it holds an odd number of them.
+
+    Ranges of two sets in which these differ are at most as many as the shingles in which the
+    sets differ, and nearly as many.
+    """
+    bits = 1 << max(6, min(24, (4 * len(h) - 1).bit_length()))
+    odd = np.bincount((h & np.uint64(bits - 1)).astype(np.int64), minlength=bits) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").tobytes()
+
+
+def folded(sketch: np.ndarray, words: int) -> np.ndarray:
+    """Rows of a sketch in words of 64 bits over fewer ranges."""
+    while sketch.shape[-1] > words:
+        half = sketch.shape[-1] // 2
+        sketch = sketch[..., :half] ^ sketch[..., half:]
+    return sketch
 
 
 def signatures(value: np.ndarray, start: np.ndarray, which: np.ndarray, j: Join) -> tuple[np.ndarray, np.ndarray]:
@@ -180,15 +194,10 @@ def _table(rows: list[tuple], kinds: list[tuple]) -> pa.Table:
 
 
 def far_apart(a: bytes, b: bytes, n: int, m: int, percent: int) -> bool:
-    """Whether the counts by hash range differ too much for the sets to be similar."""
-    x, y = np.frombuffer(a, np.uint8).astype(np.int64), np.frombuffer(b, np.uint8).astype(np.int64)
-    while len(x) > len(y):
-        x = x.reshape(-1, 2).sum(axis=1)
-    while len(y) > len(x):
-        y = y.reshape(-1, 2).sum(axis=1)
-    if max(x.max(initial=0), y.max(initial=0)) >= 255 or n * m == 0:
-        return False
-    return int(np.abs(x - y).sum()) * (100 + percent) > (100 - percent) * (n + m)
+    """Whether the parities differ in more ranges than similar sets do in shingles."""
+    x, y = np.frombuffer(a, np.uint64), np.frombuffer(b, np.uint64)
+    words = min(len(x), len(y))
+    return int(np.bitwise_count(folded(x, words) ^ folded(y, words)).sum()) * (100 + percent) > (100 - percent) * (n + m)
 
 
 def places(table: pa.Table, chosen: pa.Table, words: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -231,7 +240,7 @@ class ShingleJoin:
         return written(rows.mapInArrow(run, schema), "sets")
 
     def index(self, reps: DataFrame) -> DataFrame:
-        """Rows of signatures by bucket and of counts by hash range, for the representatives."""
+        """Rows of signatures by bucket and of parities by hash range, for the representatives."""
         j, n_buckets = self.j, self.n
 
         def run(left: pa.Table, right: pa.Table) -> pa.Table:
@@ -256,9 +265,7 @@ class ShingleJoin:
                 one, two = (d.view(np.int64) for d in digests(value, start))
                 for k in which.tolist():
                     h = value[start[k] : start[k + 1]]
-                    c = counters(len(h))
-                    kept = np.minimum(np.bincount((h >> np.uint64(64 - c.bit_length() + 1)).astype(np.int64), minlength=c), 255).astype(np.uint8)
-                    rows.append(("set", None, None, kept.tobytes(), None, block << 32 | k, len(h), int(one[k]), int(two[k])))
+                    rows.append(("set", None, None, parities(h), None, block << 32 | k, len(h), int(one[k]), int(two[k])))
             return _table(rows, [("kind", pa.string()), ("bucket", pa.int32()), ("block", pa.int32()), ("blob", pa.binary()), ("more", pa.binary()), *((c, pa.int64()) for c in ("v", "n", "d1", "d2"))])
 
         got = self.parts.groupBy("block").cogroup(reps.groupBy("block")).applyInArrow(run, "kind string, bucket int, block int, blob binary, more binary, v long, n long, d1 long, d2 long")
@@ -306,7 +313,7 @@ class ShingleJoin:
         return written(rows.groupBy("bucket").applyInArrow(run, "u long, v long, g long"), "groups")
 
     def near(self, pairs: DataFrame, sets: DataFrame) -> DataFrame:
-        """Pairs (u, v) that sizes and counts by hash range allow."""
+        """Pairs (u, v) that sizes and parities by hash range allow."""
         percent = self.j.percent
         a = sets.select(F.col("v").alias("u"), F.col("n").alias("un"), F.col("blob").alias("ub"))
         b = sets.select("v", F.col("n").alias("vn"), F.col("blob").alias("vb"))
@@ -361,7 +368,7 @@ class ShingleJoin:
         return written(shipped.groupBy("to", "salt").applyInArrow(compare, "u long, v long"), "links")
 
     def rest(self, groups: DataFrame, labels: DataFrame, sets: DataFrame) -> DataFrame:
-        """Pairs of large groups whose members are in different components, allowed by counts; tiles of a group are tasks of their own."""
+        """Pairs of large groups whose members are in different components, allowed by parities; tiles of a group are tasks of their own."""
         members = groups.where("g is not null").select("g", "v").join(labels, "v", "left").withColumn("label", F.coalesce("label", "v"))
         spread = members.groupBy("g").agg(F.min("label").alias("a"), F.max("label").alias("b"), F.count("*").alias("size")).where("a < b").select("g", "size")
         own = written(members.join(spread, "g").join(sets.select("v", "n", "blob"), "v"), "rest")
@@ -378,14 +385,13 @@ class ShingleJoin:
             v, label, n, at = (table[c].to_numpy() for c in ("v", "label", "n", "tile"))
             blobs = table["blob"].to_pylist()
             us, vs = [], []
-            size = min(len(b) for b in blobs)
-            counts = np.stack([np.frombuffer(b, np.uint8).astype(np.int32).reshape(size, -1).sum(axis=1) for b in blobs])
-            full = np.array([np.frombuffer(b, np.uint8).max() >= 255 for b in blobs])
+            words = min(len(b) for b in blobs) // 8
+            odd = np.stack([folded(np.frombuffer(b, np.uint64), words) for b in blobs])
             for a in range(len(v)):
                 other = (label != label[a]) & (v > v[a]) & _pair_ok(n, n[a], percent) & ((at != at[a]) if i != k else True)
                 b = np.flatnonzero(other)
-                apart = np.abs(counts[b] - counts[a]).sum(axis=1) * (100 + percent) > (100 - percent) * (n[b] + n[a])
-                b = b[~apart | full[b] | full[a]]
+                apart = np.bitwise_count(odd[b] ^ odd[a]).sum(axis=1, dtype=np.int64) * (100 + percent) > (100 - percent) * (n[b] + n[a])
+                b = b[~apart]
                 us.append(np.full(len(b), v[a]))
                 vs.append(v[b])
             return pa.table({"u": pa.array(np.concatenate(us), pa.int64()), "v": pa.array(np.concatenate(vs), pa.int64())})
