@@ -14,8 +14,8 @@ small sets, whose exact segments would mostly be empty, exact segments for the r
 Equal sets are one vertex. Candidate pairs are first held against the sizes and the parities
 of shingles by hash range (those that differ are at most as many as the differences), then
 verified on the whole sets. A group of equal signatures with more than `few` members is
-not expanded: its members are linked to its least member, and only pairs that are still in
-different components after that are compared, in tiles, by parities first.
+not expanded: each member is compared with two leaders of its large groups, and only pairs
+that are still in different components after that are compared, in tiles, by parities first.
 
 Shingles are 64-bit hashes of words' hashes; two that clash would be one. Everything else is
 exact: no partner or group is dropped.
@@ -50,7 +50,7 @@ ODD = np.uint64(0x9E3779B97F4A7C15)
 class Join:
     words: int = 5
     percent: int = 80
-    few: int = 8
+    few: int = 4
 
     def most_differences(self, n: np.ndarray) -> np.ndarray:
         """Most shingles in which a set of n may differ from a similar one (which has at most n * 100 / percent)."""
@@ -298,8 +298,6 @@ class ShingleJoin:
             member = np.repeat(size > few, size)
             leader = np.repeat(d[first], size)
             u, v = (np.concatenate(x) if x else np.empty(0, np.int64) for x in (us, vs))
-            u, v = np.concatenate((u, leader[member])), np.concatenate((v, d[member]))
-            u, v = u[u != v], v[u != v]
             o = np.lexsort((v, u))
             u, v = u[o], v[o]
             if len(u):
@@ -407,7 +405,10 @@ class ShingleJoin:
         index = self.index(reps.select("block", "d1", "d2"))
         sets = index.where("kind = 'set'").select("v", "n", "blob")
         groups = self.grouped(index)
-        pairs = groups.where("g is null").select("u", "v").distinct()
+        large = groups.where("g is not null and u <> v")
+        # two leaders for each member are enough to join what is close; the rest is compared below
+        leaders = large.groupBy("v").agg(F.min("u").alias("a"), F.min_by("u", F.xxhash64("u", "v")).alias("b")).select(F.explode(F.array_distinct(F.array("a", "b"))).alias("u"), "v")
+        pairs = groups.where("g is null").select("u", "v").unionByName(leaders).distinct()
         found = self.verified(self.near(pairs, sets))
         if not groups.where("g is not null").isEmpty():
             labels = components(found)
