@@ -21,12 +21,32 @@ from pyspark.sql import DataFrame
 
 from probejoin.llm.common import ODD_SPACE
 
-#: Entries that a worker keeps of words and of chunks before it starts anew.
-KEPT = 200_000
+#: Entries of a generation of what a worker keeps of words and chunks, and half those of pairs.
+KEPT = 100_000
 _END = 0x10000
 _ENCODERS: dict[str, "PrefixEncoder"] = {}
 
 
+class Kept:
+    """A memory of two generations: what was not asked for since the last change of generation is forgotten."""
+
+    def __init__(self, size: int):
+        self.size, self.young, self.old = size, {}, {}
+
+    def get(self, key):
+        got = self.young.get(key)
+        if got is None:
+            got = self.old.get(key)
+            if got is not None:
+                self.put(key, got)
+        return got
+
+    def put(self, key, value) -> None:
+        if len(self.young) >= self.size:
+            self.old, self.young = self.young, {}
+        self.young[key] = value
+
+
 class PrefixEncoder:
     """Encoder for a tokenizers file with a BPE model and a suffix for the end of words."""
 
@@ -54,7 +74,6 @@ class PrefixEncoder:
         self.specials = {t["content"]: t["id"] for t in spec["added_tokens"]}
         self.names |= {i: s for s, i in self.specials.items()}
         self.special_cut = regex.compile("(" + "|".join(regex.escape(s) for s in self.specials) + ")") if self.specials else None
-        self.spine: dict[tuple[int, bool], list[tuple[int, int, float]]] = {}
         self.automaton = ahocorasick.Automaton()
         for s, i in self.vocab.items():
             word = self.folded(s)
@@ -65,10 +84,10 @@ class PrefixEncoder:
         self.white = regex.compile(r"[\t\n\x0b\x0c\r \x85\xa0  -     　]+")
         #: Code points that NFC leaves alone and whose lower case is one code point: ASCII and the letters of Latin-1.
         self.easy = regex.compile("[\x21-\x7e\xc0-\xd6\xd8-\xf6\xf8-\xff]+")
-        self.byte_names = self._byte_names()
+        self.byte_table = str.maketrans({chr(b): c for b, c in self._byte_names().items()})
         self.pairs: dict[tuple[int, int], bool] = {}
-        self.words: dict[str, tuple[int, ...]] = {}
-        self.chunks: dict[str, tuple[int, str, str]] = {}
+        self.words = Kept(KEPT)
+        self.chunks = Kept(KEPT)
 
     @staticmethod
     def _byte_names() -> dict[int, str]:
@@ -86,17 +105,13 @@ class PrefixEncoder:
 
     def _spine(self, token: int, right: bool) -> list[tuple[int, int, float]]:
         """Pieces at one edge of a token: (piece, rank at which it arises, rank at which it is used up)."""
-        key = (token, right)
-        if key not in self.spine:
-            out, used = [], float("inf")
-            while True:
-                arises = self.made.get(token, -1)
-                out.append((token, arises, used))
-                if token not in self.parts:
-                    break
-                used, token = arises, self.parts[token][right]
-            self.spine[key] = out
-        return self.spine[key]
+        out, used = [], float("inf")
+        while True:
+            arises = self.made.get(token, -1)
+            out.append((token, arises, used))
+            if token not in self.parts:
+                return out
+            used, token = arises, self.parts[token][right]
 
     def clashes(self, a: int, b: int, before: float = float("inf")) -> bool:
         """Whether a merge across the border of a and b, of a rank below before, comes before both are complete.
@@ -104,8 +119,9 @@ class PrefixEncoder:
         Of equal ranks the leftmost goes first, so a piece on the left that is used up at
         the rank of the crossing merge is gone, one on the right is still there.
         """
+        left = self._spine(b, False)
         for x, x_from, x_to in self._spine(a, True):
-            for y, y_from, y_to in self._spine(b, False):
+            for y, y_from, y_to in left:
                 m = self.rank.get((x, y))
                 if m is not None and m < before and x_from < m < x_to and y_from < m <= y_to:
                     return True
@@ -133,41 +149,41 @@ class PrefixEncoder:
 
     def word(self, word: str) -> tuple[int, ...]:
         """Ids of one pre-token written in byte stand-ins."""
-        got = self.words.get(word)
-        if got is not None:
-            return got
         symbols = self.folded(word + self.suffix) if self.suffix else word
         n = len(symbols)
-        last: list[tuple[int, int] | None] = [None] * (n + 1)
-        fits, done = self.fits, 0
+        tokens, starts = [-1] * (n + 1), [0] * (n + 1)
+        pairs, fits, done = self.pairs, self.fits, 0
         for end, (length, token) in self.automaton.iter(symbols):
             if done > end:
                 continue
             start = end + 1 - length
-            before = last[start]
-            if (start == 0) or (before is not None and fits(before[0], token)):
-                last[end + 1] = (token, start)
-                done = end + 1
+            if start:
+                before = tokens[start]
+                if before < 0:
+                    continue
+                fit = pairs.get((before, token))
+                if fit is None:
+                    fit = fits(before, token)
+                if not fit:
+                    continue
+            done = end + 1
+            tokens[done], starts[done] = token, start
         out: list[int] = []
         at = n
         while at:
-            step = last[at]
-            if step is None:
+            if tokens[at] < 0:
                 raise ValueError(f"the vocabulary has no symbol for a part of {word!r}")
-            out.append(step[0])
-            at = step[1]
-        got = tuple(out[::-1])
-        if len(self.words) >= KEPT:
-            self.words.clear()
-        self.words[word] = got
-        return got
+            out.append(tokens[at])
+            at = starts[at]
+        return tuple(out[::-1])
 
-    def _pretokens(self, chunk: str) -> list[str]:
-        if self.easy.fullmatch(chunk):
-            names = self.byte_names
-            return ["".join([names[b] for b in piece.encode()]) for piece in self.plain.findall(chunk.lower())]
-        text = self.library.normalizer.normalize_str(chunk) if self.library.normalizer else chunk
-        return [s for s, _ in self.library.pre_tokenizer.pre_tokenize_str(text)]
+    def piece(self, piece: str) -> tuple[int, ...]:
+        """Ids of one pre-token of an easy chunk, as it is read."""
+        got = self.words.get(piece)
+        if got is None:
+            got = self.word(piece if piece.isascii() else piece.encode().decode("latin-1").translate(self.byte_table))
+            self.words.put(piece, got)
+        return got
 
     def ids(self, chunk: str) -> list[int]:
         out: list[int] = []
@@ -175,8 +191,12 @@ class PrefixEncoder:
         for part in parts:
             if part in self.specials:
                 out.append(self.specials[part])
+            elif self.easy.fullmatch(part):
+                for piece in self.plain.findall(part.lower()):
+                    out += self.piece(piece)
             elif part:
-                for piece in self._pretokens(part):
+                text = self.library.normalizer.normalize_str(part) if self.library.normalizer else part
+                for piece, _ in self.library.pre_tokenizer.pre_tokenize_str(text):
                     out += self.word(piece)
         return out
 
@@ -187,9 +207,7 @@ class PrefixEncoder:
             ids = self.ids(chunk)
             got = (len(ids), " ".join(map(str, ids)), " ".join([self.names[i] for i in ids]))
             if len(chunk) < 64:
-                if len(self.chunks) >= 2 * KEPT:
-                    self.chunks.clear()
-                self.chunks[chunk] = got
+                self.chunks.put(chunk, got)
         return got
 
     def encode(self, text: str | None) -> tuple[int, str, str]:
@@ -198,7 +216,7 @@ class PrefixEncoder:
             return 0, "", ""
         odd = any(c in text for c in ODD_SPACE)
         pieces = self.white.split(text) if odd else text.split()
-        get, own = self.chunks.get, self.chunk
+        get, own = self.chunks.young.get, self.chunk
         got = [get(c) or own(c) for c in pieces if c]
         return sum([g[0] for g in got]), " ".join([g[1] for g in got if g[0]]), " ".join([g[2] for g in got if g[0]])
 

@@ -23,7 +23,7 @@ from pyspark.sql import types as T
 SPACE = "▁"
 #: How far an unknown code point scores below the lowest piece (fixed value of the library).
 PENALTY = 10.0
-KEPT = 400_000
+KEPT = 300_000
 _COUNTERS: dict[tuple, "UnigramCounter"] = {}
 
 
