@@ -14,7 +14,7 @@ small sets, whose exact segments would mostly be empty, exact segments for the r
 Equal sets are one vertex. Candidate pairs are first held against the sizes and the parities
 of shingles by hash range (those that differ are at most as many as the differences), then
 verified on the whole sets. A group of equal signatures with more than `few` members is
-not expanded: each member is compared with two leaders of its large groups, and only pairs
+not expanded: each member is compared with some leaders of its large groups, and only pairs
 that are still in different components after that are compared, in tiles, by parities first.
 
 Shingles are 64-bit hashes of words' hashes; two that clash would be one. Everything else is
@@ -50,7 +50,8 @@ ODD = np.uint64(0x9E3779B97F4A7C15)
 class Join:
     words: int = 5
     percent: int = 80
-    few: int = 4
+    few: int = 6
+    leaders: int = 8
 
     def most_differences(self, n: np.ndarray) -> np.ndarray:
         """Most shingles in which a set of n may differ from a similar one (which has at most n * 100 / percent)."""
@@ -399,15 +400,16 @@ class ShingleJoin:
 
     def links(self) -> tuple[DataFrame, DataFrame, DataFrame]:
         """Sizes of all documents, vertices of their digests, and links between vertices that join every component."""
-        sizes = self.sizes()
+        j, sizes = self.j, self.sizes()
         some = sizes.where("n > 0")
         reps = written(some.groupBy("d1", "d2").agg(F.min(F.struct("block", "row")).alias("at")).select("d1", "d2", F.col("at.block").alias("block"), F.col("at.row").alias("row")), "reps")
         index = self.index(reps.select("block", "d1", "d2"))
         sets = index.where("kind = 'set'").select("v", "n", "blob")
         groups = self.grouped(index)
         large = groups.where("g is not null and u <> v")
-        # two leaders for each member are enough to join what is close; the rest is compared below
-        leaders = large.groupBy("v").agg(F.min("u").alias("a"), F.min_by("u", F.xxhash64("u", "v")).alias("b")).select(F.explode(F.array_distinct(F.array("a", "b"))).alias("u"), "v")
+        # the leaders with which a member shares most groups join what is close; the rest is compared below
+        shares = large.groupBy("v", "u").agg(F.count("*").alias("c")).groupBy("v").agg(F.sort_array(F.collect_list(F.struct("c", "u")), asc=False).alias("best"))
+        leaders = shares.select(F.explode(F.slice("best", 1, j.leaders)).alias("best"), "v").select("best.u", "v")
         pairs = groups.where("g is null").select("u", "v").unionByName(leaders).distinct()
         found = self.verified(self.near(pairs, sets))
         if not groups.where("g is not null").isEmpty():
