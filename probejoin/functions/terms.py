@@ -50,7 +50,7 @@ def lexical(term: Column) -> Column:
 
 def local_id(term: Column) -> Column:
     """What follows the first slash of a resource; null for literals."""
-    return F.when(is_iri(term), F.expr("null").cast("string") if False else F.regexp_extract(term, "^[^/]*/(.*)$", 1))
+    return F.when(is_iri(term), F.regexp_extract(term, "^[^/]*/(.*)$", 1))
 
 
 def decode(term: Column, kind: str) -> Column:

@@ -30,7 +30,7 @@ def materialize(triples: DataFrame, schema: DataFrame, rounds: int = 64) -> Data
     """
     edge = lambda p: schema.where(F.col("p") == p).select(F.col("s").alias("a"), F.col("o").alias("b"))
     classes, properties = transitive(edge("subClassOf"), rounds), transitive(edge("subPropertyOf"), rounds)
-    out = triples.select("s", "p", "o").distinct()
+    out = written(triples.select("s", "p", "o").distinct(), "asserted")  # read by every rule
     kinds = out.where(F.col("p") == TYPE).join(classes, F.col("o") == F.col("a")).select("s", "p", F.col("b").alias("o"))
     inverse = edge("inverseOf")
     both = inverse.unionByName(inverse.select(F.col("b").alias("a"), F.col("a").alias("b")))
