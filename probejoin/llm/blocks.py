@@ -15,19 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-
-def _lean() -> None:
-    """Have the C library give back arrays of over 2 MB as soon as they are freed; workers live long."""
-    import contextlib
-    import ctypes
-
-    with contextlib.suppress(OSError, AttributeError):
-        libc = ctypes.CDLL(None)
-        libc.mallopt(-3, 2 << 20)  # M_MMAP_THRESHOLD
-        libc.mallopt(-1, 8 << 20)  # M_TRIM_THRESHOLD
-
-
-_lean()
+from probejoin.llm.common import lean
 
 
 def zipped(data: bytes) -> bytes:
@@ -80,6 +68,7 @@ def texts_of(blobs: list[bytes]) -> tuple[list, list[str | None]]:
 
 def blocked(docs: DataFrame, id_col: str, text_col: str, n: int) -> DataFrame:
     """Rows (block, blob): texts with their ids, those of a block within a batch packed together."""
+    lean(docs.sparkSession)
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"), F.pmod(F.xxhash64(id_col, text_col), F.lit(n)).cast("int").alias("block"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

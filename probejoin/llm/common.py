@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+import contextlib
 import uuid
 import zlib
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -13,6 +15,36 @@ from pyspark.sql import functions as F
 ODD_SPACE = "\x1c\x1d\x1e\x1f"
 
 
+def give_back() -> None:
+    """Return freed memory to the system: workers live long and run one operator after another."""
+    import ctypes
+    import gc
+
+    gc.collect()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
+def _lean_worker() -> None:
+    """Have the C library, also below Arrow, give back arrays of over 2 MB as soon as they are freed."""
+    import ctypes
+
+    with contextlib.suppress(OSError, AttributeError):
+        libc = ctypes.CDLL(None)
+        libc.mallopt(-3, 2 << 20)  # M_MMAP_THRESHOLD
+        libc.mallopt(-1, 8 << 20)  # M_TRIM_THRESHOLD
+        pa.set_memory_pool(pa.system_memory_pool())
+
+
+_lean_worker()
+#: Rows that go to a Python worker together: whole texts, so fewer than the usual 10,000.
+BATCH_ROWS = 2000
+
+
+def lean(spark: SparkSession) -> None:
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

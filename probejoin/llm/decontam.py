@@ -26,6 +26,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from probejoin.llm.common import lean
+
 Q = 8
 _WORD = bytes(b if 48 <= b <= 57 or 97 <= b <= 122 or b >= 128 else b + 32 if 65 <= b <= 90 else 32 for b in range(256))
 _BITS = 22
@@ -158,6 +160,7 @@ class ItemIndex:
 
 def blocks(items: DataFrame, id_col: str, text_col: str, block_bytes: int) -> Iterator[list[tuple[object, str]]]:
     """Items in blocks of about block_bytes of text, each fetched on its own."""
+    lean(items.sparkSession)
     rows = items.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")).where("t is not null")
     size = rows.agg(F.sum(F.octet_length("t"))).first()[0] or 0
     n = max(1, -(-int(1.25 * size) // block_bytes)) if size > block_bytes else 1

@@ -232,8 +232,8 @@ class ShingleJoin:
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
-                for at in range(0, batch.num_rows, 2000):
-                    b = batch.slice(at, 2000)
+                for at in range(0, batch.num_rows, 1000):
+                    b = batch.slice(at, 1000)
                     value, start = sets_of(b.column(1).to_pylist(), j.words)
                     one, two = digests(value, start)
                     yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), b.column(3), pa.array(np.diff(start)), pa.array(one.view(np.int64)), pa.array(two.view(np.int64))], schema.names)

@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from probejoin.llm.common import crc_mod, crc_mod_py
+from probejoin.llm.common import crc_mod, crc_mod_py, lean
 
 SIZES = (3, 4)
 UNDECIDED = "und"
@@ -153,6 +153,7 @@ def train(rows: DataFrame, text_col: str = "text", lang_col: str = "lang", rows_
 
 def predict(docs: DataFrame, model: LanguageFilter, id_col: str = "doc_id", text_col: str = "text", keep: bool = False) -> DataFrame:
     """Per row: id_col, held_out, lang_pred, score; with keep, all columns of docs and then lang_pred and score. Narrow."""
+    lean(docs.sparkSession)
     sent = docs.sparkSession.sparkContext.broadcast(model)
     chosen = docs if keep else docs.select(id_col, text_col)
     text_at = chosen.columns.index(text_col)

@@ -20,6 +20,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
+from probejoin.llm.common import give_back, lean
+
 SPACE = "▁"
 #: How far an unknown code point scores below the lowest piece (fixed value of the library).
 PENALTY = 10.0
@@ -100,6 +102,7 @@ def counter(path: str) -> UnigramCounter:
 
 def count_tokens(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Per row: id_col, n_tokens long, score double (of the best path). Narrow: no shuffle."""
+    lean(docs.sparkSession)
     schema = T.StructType([T.StructField(id_col, docs.schema[id_col].dataType), T.StructField("n_tokens", T.LongType()), T.StructField("score", T.DoubleType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -107,5 +110,7 @@ def count_tokens(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text_
         for batch in batches:
             got = [held.count(t.as_py()) for t in batch.column(1)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([g[0] for g in got], pa.int64()), pa.array([g[1] for g in got], pa.float64())], schema.names)
+        held.kept.clear()
+        give_back()
 
     return docs.select(id_col, text_col).mapInArrow(run, schema)
