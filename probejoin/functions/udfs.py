@@ -5,9 +5,10 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
-@F.pandas_udf("string")
+@F.pandas_udf(T.StringType())
 def term_kind_udf(term: pd.Series) -> pd.Series:
     """Vectorized form of terms.term_kind."""
     head = term.str.split("/", n=1).str[0]
@@ -15,7 +16,7 @@ def term_kind_udf(term: pd.Series) -> pd.Series:
     return out.where(~term.str.startswith('"'), "literal")
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(T.LongType())
 def mapping_product_size(n: pd.Series) -> int:
     """Product of the sizes of a row's cells: how many mappings its star has."""
     return int(n.prod())
