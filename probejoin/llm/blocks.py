@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from probejoin.llm.common import lean
+from probejoin.llm.common import lean, only
 
 
 def zipped(data: bytes) -> bytes:
@@ -57,6 +57,7 @@ def slices(keys: np.ndarray, buckets: int) -> np.ndarray:
 
 def texts_of(blobs: list[bytes]) -> tuple[list, list[str | None]]:
     """Ids and texts of a block by text and id, so that places in a block hold in every pass, however its parts arrive."""
+    only("")
     ids, texts = [], []
     for blob in blobs:
         got = pa.ipc.open_stream(unzipped(blob)).read_all()
@@ -72,6 +73,7 @@ def blocked(docs: DataFrame, id_col: str, text_col: str, n: int) -> DataFrame:
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"), F.pmod(F.xxhash64(id_col, text_col), F.lit(n)).cast("int").alias("block"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        only("")
         for batch in batches:
             block = batch.column(2).to_numpy()
             order = np.argsort(block, kind="stable")

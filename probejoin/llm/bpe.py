@@ -19,12 +19,13 @@ from collections.abc import Iterator
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from probejoin.llm.common import ODD_SPACE, give_back, lean
+from probejoin.llm.common import HELD, ODD_SPACE, give_back, lean, only
 
 #: Entries of a generation of what a worker keeps of words and chunks, and half those of pairs.
 KEPT = 100_000
 _END = 0x10000
 _ENCODERS: dict[str, "PrefixEncoder"] = {}
+HELD["bpe"] = _ENCODERS
 
 
 class Kept:
@@ -246,6 +247,7 @@ def encode(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col: s
         fields += [T.StructField("ids", T.ArrayType(T.IntegerType())), T.StructField("decoded", T.StringType())]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        only("bpe")
         enc = encoder(vocabulary)
         for batch in batches:
             counts, ids, decoded, lists, plain = [], [], [], [], []

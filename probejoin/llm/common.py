@@ -36,6 +36,19 @@ def _lean_worker() -> None:
         pa.set_memory_pool(pa.system_memory_pool())
 
 
+#: What operators keep in a worker between tasks, by operator.
+HELD: dict[str, dict] = {}
+
+
+def only(owner: str) -> None:
+    """Drop what other operators keep in this worker; called where a task of an operator begins."""
+    others = [held for name, held in HELD.items() if name != owner and held]
+    for held in others:
+        held.clear()
+    if others:
+        give_back()
+
+
 _lean_worker()
 #: Rows that go to a Python worker together: whole texts, so fewer than the usual 10,000.
 BATCH_ROWS = 2000

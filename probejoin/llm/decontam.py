@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from probejoin.llm.common import lean
+from probejoin.llm.common import lean, only
 
 Q = 8
 _WORD = bytes(b if 48 <= b <= 57 or 97 <= b <= 122 or b >= 128 else b + 32 if 65 <= b <= 90 else 32 for b in range(256))
@@ -178,6 +178,7 @@ def leaks(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: s
         sent = docs.sparkSession.sparkContext.broadcast(block)
 
         def run(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
+            only("")
             index = ItemIndex(sent.value, edits)
             for batch in batches:
                 rows = [(i.as_py(), *got) for i, t in zip(batch.column(0), batch.column(1), strict=True) for got in index.find(t.as_py())]
@@ -195,6 +196,7 @@ def clean(docs: DataFrame, items: DataFrame, text_col: str = "text", edits: floa
         sent = docs.sparkSession.sparkContext.broadcast(block)
 
         def run(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
+            only("")
             index = ItemIndex(sent.value, edits)
             for batch in batches:
                 yield batch.filter(pa.array([not index.find(t.as_py()) for t in batch.column(at)], pa.bool_()))

@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from probejoin.llm.common import crc_mod, crc_mod_py, lean
+from probejoin.llm.common import crc_mod, crc_mod_py, lean, only
 
 SIZES = (3, 4)
 UNDECIDED = "und"
@@ -161,6 +161,7 @@ def predict(docs: DataFrame, model: LanguageFilter, id_col: str = "doc_id", text
     schema = T.StructType([*chosen.schema.fields, *added] if keep else [chosen.schema[id_col], T.StructField("held_out", T.BooleanType()), *added])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        only("")
         held = sent.value
         for batch in batches:
             got = [held.decide(t.as_py()) for t in batch.column(text_at)]

@@ -35,7 +35,7 @@ from probejoin.llm.common import BASES, crc_mod_py, mix64, prefix_hash, shared_f
 END, BEGIN = np.uint64(0x5851F42D4C957F2D), np.uint64(0x14057B7EF767814F)
 #: Steps of the histogram of probabilities to a power of two, and sizes of its axes.
 STEPS, LEVELS = 4, 160
-PIECE = 1 << 20
+PIECE = 1 << 19
 
 
 def words(data: bytes) -> np.ndarray:

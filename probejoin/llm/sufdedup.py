@@ -40,7 +40,7 @@ from probejoin.llm.suffix import repeated_windows, suffix_array
 
 TWIN, SHARD, WINDOWS = 1, 2, 4
 #: Bytes of a shard that are sorted together.
-SHARD_BYTES = 1_000_000
+SHARD_BYTES = 600_000
 
 
 class Shape:

@@ -20,13 +20,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
-from probejoin.llm.common import give_back, lean
+from probejoin.llm.common import HELD, give_back, lean, only
 
 SPACE = "▁"
 #: How far an unknown code point scores below the lowest piece (fixed value of the library).
 PENALTY = 10.0
 KEPT = 300_000
-_COUNTERS: dict[tuple, "UnigramCounter"] = {}
+_COUNTERS: dict[str, "UnigramCounter"] = {}
+HELD["unigram"] = _COUNTERS
 
 
 def pieces_of(path: str) -> list[tuple[str, float]]:
@@ -106,6 +107,7 @@ def count_tokens(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text_
     schema = T.StructType([T.StructField(id_col, docs.schema[id_col].dataType), T.StructField("n_tokens", T.LongType()), T.StructField("score", T.DoubleType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        only("unigram")
         held = counter(vocabulary)
         for batch in batches:
             got = [held.count(t.as_py()) for t in batch.column(1)]
