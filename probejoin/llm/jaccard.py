@@ -51,7 +51,7 @@ class Join:
     words: int = 5
     percent: int = 80
     few: int = 6
-    leaders: int = 8
+    leaders: int = 4
 
     def most_differences(self, n: np.ndarray) -> np.ndarray:
         """Most shingles in which a set of n may differ from a similar one (which has at most n * 100 / percent)."""
