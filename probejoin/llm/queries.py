@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from probejoin.llm import bpe, decontam, htmltext, jaccard, langid, ngramlm, sufdedup, unigram, vectorjoin, warc
+from probejoin.llm import bpe, decontam, htmltext, jaccard, langid, ngramlm, oracles, sufdedup, unigram, vectorjoin, warc
 from probejoin.llm.common import table
 
 
@@ -53,4 +53,4 @@ def op10_embedding_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_bpe_encode, op2_decontaminate, op3_language_id, op4_token_counts, op5_suffix_dedup, op6_lm_score, op7_warc, op8_html_extract, op9_jaccard_join, op10_embedding_dedup)}
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {"op7_warc": oracles.WARC, "op9_jaccard_join": oracles.JACCARD, "op10_embedding_dedup": oracles.VECTORS}
