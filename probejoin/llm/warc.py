@@ -18,6 +18,8 @@ them apart; extra columns are ignored; an empty table gives an empty archive.
 
 from __future__ import annotations
 
+import hashlib
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -52,6 +54,11 @@ def _header(kind: str) -> Column:
     return F.concat(F.concat_ws("\r\n", *lines), F.lit("\r\n\r\n"))
 
 
+def _table(folder: str) -> str:
+    """Name under which a session knows an archive's payloads; other sessions read the files."""
+    return "warc_payloads_" + hashlib.sha1(folder.encode()).hexdigest()[:16]
+
+
 def write(pages: DataFrame, folder: str, id_col: str = "page_id", url_col: str = "url", payload_col: str = "html", revisit_from: int = 0) -> None:
     """Write the archive below folder, which executors share."""
     payload = F.coalesce(F.col(payload_col).cast("binary"), F.lit("").cast("binary"))
@@ -67,12 +74,15 @@ def write(pages: DataFrame, folder: str, id_col: str = "page_id", url_col: str =
     records.write.option("compression", "zstd").parquet(f"{folder}/records")
     # one row for each address: the row of the smallest id; rows that repeat it are the same bytes
     once = rows.select("id", "address", "payload").join(firsts, "address").where(F.col("id").eqNullSafe(F.col("first"))).select("address", "payload").dropDuplicates(["address"])
-    once.write.option("compression", "zstd").parquet(f"{folder}/payloads")
+    # bucketed as it lies after the aggregation, so that reading it does not move payloads again
+    n = int(pages.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    once.write.format("parquet").option("compression", "zstd").option("path", f"{folder}/payloads").bucketBy(n, "address").saveAsTable(_table(folder))
 
 
 def read(spark, folder: str) -> DataFrame:
     """Records put together again: id, record_type, refers_to, payload_digest, payload_bytes, record (exact bytes), verified."""
-    records, payloads = spark.read.parquet(f"{folder}/records"), spark.read.parquet(f"{folder}/payloads")
+    records = spark.read.parquet(f"{folder}/records")
+    payloads = spark.table(_table(folder)) if spark.catalog.tableExists(_table(folder)) else spark.read.parquet(f"{folder}/payloads")
     text = F.col("header").cast("string")
     field = lambda name: F.regexp_extract(text, rf"\r\n{name}: ([^\r]*)\r\n", 1)
     id_type = records.schema["id"].dataType
