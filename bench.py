@@ -1,6 +1,6 @@
 """Times headline queries at $BENCH_SF_DIR on local[$BENCH_CPUS]; prints one JSON line.
 
-Each workload runs in several ways; seconds are the median of $BENCH_RUNS runs (default 3)
+Each workload runs in several ways; seconds are the median of $BENCH_RUNS runs (default 2)
 into a sink that keeps nothing. Loading both indexes is timed on its own.
 """
 
@@ -23,7 +23,7 @@ HEADLINE += [f"w_s2_{v}" for v in ("multiway", "row", "shuffle_star")] + [f"w_{w
 
 def main() -> None:
     sf_dir = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
-    cpus, runs = os.environ.get("BENCH_CPUS", "8"), int(os.environ.get("BENCH_RUNS", "3"))
+    cpus, runs = os.environ.get("BENCH_CPUS", "8"), int(os.environ.get("BENCH_RUNS", "2"))
     spark = (
         SparkSession.builder.master(f"local[{cpus}]").appName("bench").config("spark.sql.shuffle.partitions", cpus).config("spark.ui.enabled", "false").config("spark.driver.memory", "8g").config("spark.sql.session.timeZone", "UTC").getOrCreate()
     )
