@@ -19,9 +19,9 @@ from collections.abc import Iterator
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from probejoin.llm.common import HELD, ODD_SPACE, give_back, lean, only
+from probejoin.llm.common import HELD, ODD_SPACE, lean, only
 
-#: Entries of a generation of what a worker keeps of words and chunks, and half those of pairs.
+#: Entries of a generation of what a worker keeps of words and chunks, and half those of pairs; other operators' tasks drop it.
 KEPT = 100_000
 _END = 0x10000
 _ENCODERS: dict[str, "PrefixEncoder"] = {}
@@ -211,11 +211,6 @@ class PrefixEncoder:
                 self.chunks.put(chunk, got)
         return got
 
-    def forget(self) -> None:
-        """Drop what was kept, for what the worker runs next."""
-        self.words, self.chunks, self.pairs = Kept(KEPT), Kept(KEPT), {}
-        give_back()
-
     def encode(self, text: str | None) -> tuple[int, str, str]:
         """Number of tokens, their ids and the decoded text; the parts join with one space, as the vocabulary has no decoder."""
         if not text:
@@ -263,6 +258,5 @@ def encode(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col: s
             if texts:
                 columns += [pa.array(lists, pa.list_(pa.int32())), pa.array(plain, pa.string())]
             yield pa.RecordBatch.from_arrays(columns, [f.name for f in fields])
-        enc.forget()
 
     return docs.select(id_col, text_col).mapInArrow(run, T.StructType(fields))

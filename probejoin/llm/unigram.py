@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
-from probejoin.llm.common import HELD, give_back, lean, only
+from probejoin.llm.common import HELD, lean, only
 
 SPACE = "▁"
 #: How far an unknown code point scores below the lowest piece (fixed value of the library).
@@ -112,7 +112,5 @@ def count_tokens(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text_
         for batch in batches:
             got = [held.count(t.as_py()) for t in batch.column(1)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([g[0] for g in got], pa.int64()), pa.array([g[1] for g in got], pa.float64())], schema.names)
-        held.kept.clear()
-        give_back()
 
     return docs.select(id_col, text_col).mapInArrow(run, schema)
