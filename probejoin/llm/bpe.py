@@ -150,7 +150,7 @@ class PrefixEncoder:
 
     def word(self, word: str) -> tuple[int, ...]:
         """Ids of one pre-token written in byte stand-ins."""
-        symbols = self.folded(word + self.suffix) if self.suffix else word
+        symbols = word[:-1] + chr(_END + ord(word[-1])) if self.suffix else word
         n = len(symbols)
         tokens, starts = [-1] * (n + 1), [0] * (n + 1)
         pairs, fits, done = self.pairs, self.fits, 0
@@ -187,6 +187,13 @@ class PrefixEncoder:
         return got
 
     def ids(self, chunk: str) -> list[int]:
+        if chunk.isascii():  # a word, or a word and one mark, needs no pattern
+            if chunk.isalpha():
+                return [*self.piece(chunk.lower())]
+            if chunk[-1] in ",.;:!?" and chunk[:-1].isalpha():
+                return [*self.piece(chunk[:-1].lower()), *self.piece(chunk[-1])]
+        elif chunk.isalpha() and self.easy.fullmatch(chunk):
+            return [*self.piece(chunk.lower())]
         out: list[int] = []
         parts = self.special_cut.split(chunk) if self.special_cut is not None and "<|" in chunk else [chunk]
         for part in parts:
