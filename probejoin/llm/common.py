@@ -26,12 +26,12 @@ def give_back() -> None:
 
 
 def _lean_worker() -> None:
-    """Have the C library, also below Arrow, give back arrays of over 2 MB as soon as they are freed."""
+    """Have the C library, also below Arrow, give back arrays of over 256 KB as soon as they are freed."""
     import ctypes
 
     with contextlib.suppress(OSError, AttributeError):
         libc = ctypes.CDLL(None)
-        libc.mallopt(-3, 2 << 20)  # M_MMAP_THRESHOLD
+        libc.mallopt(-3, 256 << 10)  # M_MMAP_THRESHOLD
         libc.mallopt(-1, 8 << 20)  # M_TRIM_THRESHOLD
         pa.set_memory_pool(pa.system_memory_pool())
 

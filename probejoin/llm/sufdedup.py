@@ -40,7 +40,7 @@ from probejoin.llm.suffix import repeated_windows, suffix_array
 
 TWIN, SHARD, WINDOWS = 1, 2, 4
 #: Bytes of a shard that are sorted together.
-SHARD_BYTES = 600_000
+SHARD_BYTES = 400_000
 
 
 class Shape:
@@ -69,7 +69,7 @@ def extreme(values: np.ndarray, width: int, least: bool) -> np.ndarray:
 
 
 #: Bytes whose hashes are held at once; longer texts are read in overlapping stretches.
-STRETCH = 1 << 18
+STRETCH = 1 << 17
 
 
 def anchors(data: np.ndarray, s: Shape) -> dict[str, np.ndarray]:
@@ -349,7 +349,7 @@ def _match_windows(table: pa.Table, s: Shape) -> pa.Table:
     return pa.table({"block": pa.array(blocks.astype(np.int32)), "blob": pa.array([_spans(d[b == k], x[b == k], x[b == k] + s.length) for k in blocks], pa.binary())})
 
 
-def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = 400, hot: int = 2000, block_bytes: int = 4 << 20, texts: bool = False) -> DataFrame:
+def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = 400, hot: int = 2000, block_bytes: int = 3 << 20, texts: bool = False) -> DataFrame:
     """Per row: id_col, n_bytes, n_removed, n_spans, kept_sha256; with texts also kept (binary) and spans."""
     s = Shape(length)
     n = blocks_of(docs, text_col, block_bytes)
