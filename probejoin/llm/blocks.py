@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from probejoin.llm.common import lean, only
+from probejoin.llm.common import give_back, lean, only
 
 
 def zipped(data: bytes) -> bytes:
@@ -86,6 +86,7 @@ def blocked(docs: DataFrame, id_col: str, text_col: str, n: int) -> DataFrame:
                     w.write_batch(sub)
                 blobs.append(zipped(sink.getvalue()))
             yield pa.RecordBatch.from_arrays([pa.array(own, pa.int32()), pa.array(blobs, pa.binary())], ["block", "blob"])
+        give_back()  # the worker may now be idle for long
 
     return rows.mapInArrow(run, "block int, blob binary")
 

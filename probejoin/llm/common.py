@@ -18,9 +18,7 @@ ODD_SPACE = "\x1c\x1d\x1e\x1f"
 def give_back() -> None:
     """Return freed memory to the system: workers live long and run one operator after another."""
     import ctypes
-    import gc
 
-    gc.collect()
     with contextlib.suppress(OSError, AttributeError):
         ctypes.CDLL(None).malloc_trim(0)
 
@@ -45,8 +43,7 @@ def only(owner: str) -> None:
     others = [held for name, held in HELD.items() if name != owner and held]
     for held in others:
         held.clear()
-    if others:
-        give_back()
+    give_back()
 
 
 _lean_worker()
