@@ -76,7 +76,7 @@ def anchors(data: np.ndarray, s: Shape) -> dict[str, np.ndarray]:
     """Places, hashes, surroundings (bounds and hash) and side hashes of a text's anchors."""
     n, out = len(data), []
     reach = 2 * s.length
-    for a in range(0, max(n - s.length + 1, 0), STRETCH):
+    for a in range(0, n - s.k + 1 if n >= s.length else 0, STRETCH):
         lo, hi = max(0, a - reach), min(n, a + STRETCH + reach)
         part = data[lo:hi]
         pre = prefix_hash(part, BASES[0])

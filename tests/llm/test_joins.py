@@ -62,6 +62,29 @@ def test_repeats(spark, length, hot):
     assert got == covered([(t or "").encode() for t in docs], length)
 
 
+def test_anchors_of_long_texts(monkeypatch):
+    """Each string of the length holds an anchor, also behind the last full stretch."""
+    monkeypatch.setattr(sufdedup, "STRETCH", 512)
+    rng = np.random.default_rng(2)
+    for length in (40, 400):
+        s = sufdedup.Shape(length)
+        for n in range(length, length + 1100, 7 if length == 400 else 3):
+            got = sufdedup.anchors(rng.integers(0, 256, n).astype(np.uint8), s)
+            gaps = np.diff(np.concatenate(([-1], got["place"], [n - s.k + 1])))
+            assert gaps.max() <= s.w, (length, n)
+
+
+@pytest.mark.parametrize("over", [299, 300, 350, 399, 400, 401])
+def test_repeats_behind_a_stretch(spark, over):
+    rng = np.random.default_rng(over)
+    made = lambda n: bytes(rng.integers(97, 123, n).astype(np.uint8)).decode()
+    tail = made(400)
+    docs = [made(sufdedup.STRETCH + over - 400) + tail, made(50) + tail, made(500)]
+    df = spark.createDataFrame(list(enumerate(docs)), "doc_id long, text string")
+    got = [r["n_removed"] for r in sufdedup.repeats(df).orderBy("doc_id").collect()]
+    assert got == [400, 400, 0]
+
+
 def test_repeats_of_nothing(spark):
     assert sufdedup.repeats(spark.createDataFrame([], "doc_id long, text string")).count() == 0
     one = sufdedup.repeats(spark.createDataFrame([(None, "é" * 900), (None, "é" * 900)], "doc_id long, text string"), texts=True).collect()
