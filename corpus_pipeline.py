@@ -14,6 +14,10 @@ from probejoin.llm.common import shared_folder, table
 LEAST_SHARE = 0.25
 
 
+#: Words of a passage that must not occur twice: passages of over 50 words go.
+PASSAGE_WORDS = 51
+
+
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose text has a language; those without letters or without a language that stands out go."""
     model = langid.train(langid.training_rows(docs))
@@ -29,8 +33,11 @@ def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Texts without byte strings of 400 that occur elsewhere; a text of which nothing is left goes. n_chars follows the text."""
-    cut = sufdedup.repeats(docs.select(F.struct("doc_id", "lang", "source").alias("row"), "text"), "row", "text", texts=True)
+    """Texts without passages of over 50 words, however few their bytes, and byte strings of 400, however few their words, that occur elsewhere.
+
+    A text of which nothing is left goes. n_chars follows the text.
+    """
+    cut = sufdedup.repeats(docs.select(F.struct("doc_id", "lang", "source").alias("row"), "text"), "row", "text", texts=True, words=PASSAGE_WORDS)
     return _decoded(cut).select("row.doc_id", "text", "row.lang", "row.source", F.char_length("text").cast("long").alias("n_chars")).where("n_chars > 0").select(*docs.columns)
 
 

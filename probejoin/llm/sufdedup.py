@@ -19,6 +19,11 @@ An anchor's surroundings are all bytes that such a string through it could cover
 
 Equality of anchors and surroundings is that of 64-bit hashes, of windows that of 128 bits.
 
+With `words`, strings of so many words that start anywhere else go too, however few bytes
+they have: the same steps run over the 64-bit hashes of the words, all of them by windows.
+Words are what stands between white space of Unicode; the white space between words of such
+a string may differ and goes with it.
+
 Rows: null text counts as empty; every input row gives one output row; ids may be null or
 repeat, and repeated rows count as copies of each other; extra columns are ignored; an empty
 table gives an empty result; texts are read whole.
@@ -27,11 +32,13 @@ table gives an empty result; texts are read whole.
 from __future__ import annotations
 
 import hashlib
+import re
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from probejoin.llm.blocks import blocked, blocks_of, pack_keys, packed, slices, texts_of, unpack_keys, unpacked, unzipped, zipped
@@ -44,16 +51,48 @@ SHARD_BYTES = 400_000
 
 
 class Shape:
-    """Sizes that follow from the length of a match."""
+    """Sizes that follow from the length of a match, in bytes or in words."""
 
-    def __init__(self, length: int):
+    def __init__(self, length: int, words: bool = False):
         self.length = length
+        self.words = words
         self.k = max(1, length * 3 // 4)
         self.w = length - self.k + 1
         #: A match has this many bytes before the anchor or this many after it.
         self.side = max(1, (length - self.k) // 2)
 
 
+#: White space of Unicode that takes several bytes, and the bytes it can begin with.
+_WIDE = re.compile(rb"\xc2[\x85\xa0]|\xe1\x9a\x80|\xe2(?:\x80[\x80-\x8a\xa8\xa9\xaf]|\x81\x9f)|\xe3\x80\x80")
+_WIDE_FIRST = (b"\xc2", b"\xe1\x9a", b"\xe2", b"\xe3\x80")
+_SPACE = np.isin(np.arange(256), [9, 10, 11, 12, 13, 32])
+#: Words whose hashes are made at once.
+WORDS_AT_ONCE = 1 << 14
+
+
+def bounds_of_words(data: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """Where the words of a text begin and end, in bytes."""
+    if any(b in data for b in _WIDE_FIRST):
+        data = _WIDE.sub(lambda m: b" " * len(m[0]), data)
+    inside = np.zeros(len(data) + 2, np.int8)
+    inside[1:-1] = ~_SPACE[np.frombuffer(data, np.uint8)]
+    edge = np.diff(inside)
+    return np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
+
+
+def codes_of(data: bytes, s: Shape) -> np.ndarray:
+    """What matches are made of: a text's bytes, or hashes of its words."""
+    array = np.frombuffer(data, np.uint8)
+    if not s.words:
+        return array
+    start, end = bounds_of_words(data)
+    out = np.empty(len(start), np.uint64)
+    for a in range(0, len(start), WORDS_AT_ONCE):
+        x, y = start[a : a + WORDS_AT_ONCE], end[a : a + WORDS_AT_ONCE]
+        out[a : a + len(x)] = span_hash(prefix_hash(array[x[0] : y[-1]], BASES[0]), x - x[0], y - x[0], BASES[0])
+    return out
+
+
 def extreme(values: np.ndarray, width: int, least: bool) -> np.ndarray:
     """Least (or greatest) value of every width neighbours."""
     if width == 1:
@@ -101,14 +140,14 @@ def anchors(data: np.ndarray, s: Shape) -> dict[str, np.ndarray]:
     return {k: np.concatenate([o[k] for o in out]) for k in out[0]}
 
 
-def _of_block(table: pa.Table, s: Shape) -> tuple[list, list[bytes], dict[str, np.ndarray]]:
-    """Ids, texts as bytes and all anchors of a block, by hash and surroundings, with `doc`."""
+def _of_block(table: pa.Table, s: Shape) -> tuple[list, list[np.ndarray], dict[str, np.ndarray]]:
+    """Ids, texts as bytes or words and all anchors of a block, by hash and surroundings, with `doc`."""
     ids, texts = texts_of(table["blob"].to_pylist())
-    data = [t.encode("utf-8", "surrogatepass") if t else b"" for t in texts]
+    data = [codes_of(t.encode("utf-8", "surrogatepass") if t else b"", s) for t in texts]
     found = []
     for k, d in enumerate(data):
         if len(d) >= s.length:
-            got = anchors(np.frombuffer(d, np.uint8), s)
+            got = anchors(d, s)
             found.append(got | {"doc": np.full(len(got["h"]), k, np.int64)})
     if not found:
         return ids, data, {}
@@ -228,7 +267,7 @@ def _look(parts: DataFrame, flags: DataFrame, n: int, s: Shape) -> DataFrame:
             for b in range(n):
                 own = go[cut[b] : cut[b + 1]]
                 if len(own):
-                    body = b"".join(data[d][x:y] for d, x, y in zip(a["doc"][own].tolist(), a["lo"][own].tolist(), a["hi"][own].tolist(), strict=True))
+                    body = b"".join(data[d][x:y].tobytes() for d, x, y in zip(a["doc"][own].tolist(), a["lo"][own].tolist(), a["hi"][own].tolist(), strict=True))
                     facts = np.stack([a["doc"][own], a["lo"][own], a["hi"][own], a["h"][own].view(np.int64)]).astype(np.int64)
                     rows.append(("shard", b, block, zipped(body), packed(facts.reshape(-1))))
             go = first[(flag & WINDOWS) > 0]
@@ -243,17 +282,16 @@ def _look(parts: DataFrame, flags: DataFrame, n: int, s: Shape) -> DataFrame:
     return parts.sparkSession.read.schema(got.schema).parquet(path)
 
 
-def _windows(data: list[bytes], a: dict[str, np.ndarray], go: np.ndarray, n: int, s: Shape, block: int) -> Iterator[tuple]:
+def _windows(data: list[np.ndarray], a: dict[str, np.ndarray], go: np.ndarray, n: int, s: Shape, block: int) -> Iterator[tuple]:
     """Hashes and places of all windows around hot anchors, by bucket."""
     doc, at, one, two = [], [], [], []
     for d in np.unique(a["doc"][go]).tolist():
-        array = np.frombuffer(data[d], np.uint8)
         own = go[a["doc"][go] == d]
         for lo, hi in zip(*merged(np.zeros(len(own), np.int64), a["lo"][own], a["hi"][own])[1:], strict=True):
             if hi - lo < s.length:
                 continue
             starts = np.arange(hi - lo - s.length + 1)
-            part = array[lo:hi]
+            part = data[d][lo:hi]
             values = [span_hash(prefix_hash(part, b), starts, starts + s.length, b) for b in BASES]
             doc.append(np.full(len(starts), d, np.int64))
             at.append(starts + lo)
@@ -349,16 +387,36 @@ def _match_windows(table: pa.Table, s: Shape) -> pa.Table:
     return pa.table({"block": pa.array(blocks.astype(np.int32)), "blob": pa.array([_spans(d[b == k], x[b == k], x[b == k] + s.length) for k in blocks], pa.binary())})
 
 
-def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = 400, hot: int = 2000, block_bytes: int = 3 << 20, texts: bool = False) -> DataFrame:
-    """Per row: id_col, n_bytes, n_removed, n_spans, kept_sha256; with texts also kept (binary) and spans."""
-    s = Shape(length)
-    n = blocks_of(docs, text_col, block_bytes)
-    parts = blocked(docs, id_col, text_col, n)
+def _repeated(parts: DataFrame, n: int, s: Shape, hot: int) -> DataFrame:
+    """Rows (block, blob): spans of a block's texts that occur again, in bytes or in words."""
     found = _look(parts, _ask(parts, n, s, hot), n, s)
     known = found.where("kind = 'span'").select("block", "blob")
     shards = found.where("kind = 'shard'").select("bucket", "block", "blob", "more").groupBy("bucket").applyInArrow(lambda t: _sort_shard(t, s), "block int, blob binary")
     windows = found.where("kind = 'window'").select("bucket", "block", "blob", "more").groupBy("bucket").applyInArrow(lambda t: _match_windows(t, s), "block int, blob binary")
-    spans = known.unionByName(shards).unionByName(windows)
+    return known.unionByName(windows) if s.words else known.unionByName(shards).unionByName(windows)
+
+
+def _in_bytes(spans: tuple[np.ndarray, np.ndarray, np.ndarray], data: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Spans of words as spans of bytes, from the first word's first byte to the last word's last."""
+    doc, lo, hi = merged(*spans)
+    first, last = np.empty_like(lo), np.empty_like(hi)
+    edge = np.append(np.flatnonzero(np.diff(doc, prepend=-1)), len(doc))
+    for x, y in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
+        start, end = bounds_of_words(data[doc[x]])
+        first[x:y], last[x:y] = start[lo[x:y]], end[hi[x:y] - 1]
+    return doc, first, last
+
+
+def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = 400, hot: int = 2000, block_bytes: int = 3 << 20, texts: bool = False, words: int = 0) -> DataFrame:
+    """Per row: id_col, n_bytes, n_removed, n_spans, kept_sha256; with texts also kept (binary) and spans.
+
+    words is the length of the strings of words that go besides those of bytes, 0 for none.
+    """
+    n = blocks_of(docs, text_col, block_bytes)
+    parts = blocked(docs, id_col, text_col, n)
+    spans = _repeated(parts, n, Shape(length), hot).withColumn("words", F.lit(False))
+    if words:
+        spans = spans.unionByName(_repeated(parts, n, Shape(words, words=True), 0).withColumn("words", F.lit(True)))
     fields = [T.StructField(id_col, docs.schema[id_col].dataType), T.StructField("n_bytes", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField("n_spans", T.LongType()), T.StructField("kept_sha256", T.StringType())]
     if texts:
         fields += [T.StructField("kept", T.BinaryType()), T.StructField("spans", T.ArrayType(T.ArrayType(T.LongType())))]
@@ -367,7 +425,10 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", len
     def cut(left: pa.Table, right: pa.Table) -> pa.Table:
         ids, whole = texts_of(left["blob"].to_pylist())
         data = [t.encode("utf-8", "surrogatepass") if t else b"" for t in whole]
-        got = [_unspans(x) for x in right["blob"].to_pylist() if x]
+        found = list(zip(right["blob"].to_pylist(), right["words"].to_pylist(), strict=True))
+        got = [_unspans(x) for x, of_words in found if x and not of_words]
+        if own := [_unspans(x) for x, of_words in found if x and of_words]:
+            got.append(_in_bytes(tuple(np.concatenate(g) for g in zip(*own, strict=True)), data))
         doc, lo, hi = merged(*(np.concatenate(g) for g in zip(*got, strict=True))) if got else (np.empty(0, np.int64),) * 3
         first = np.searchsorted(doc, np.arange(len(data) + 1))
         removed, n_spans, digests, kept, lists = [], [], [], [], []

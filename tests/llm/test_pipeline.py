@@ -1,7 +1,14 @@
 """The pipeline's stages, each on what the one before it kept."""
 
+import random
+import re
+from collections import Counter
+
+import pytest
+
 import corpus_pipeline
 
+from probejoin.llm import sufdedup
 from probejoin.llm.common import table
 
 
@@ -19,3 +26,57 @@ def test_run(spark):
     sf = "/root/testdata/sf0.001"
     got = corpus_pipeline.run(spark, sf)
     assert 0 < got.count() <= table(spark, sf, "documents").count()
+
+
+def rows_of(spark, texts):
+    return spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in enumerate(texts)], "doc_id long, text string, lang string, source string, n_chars long")
+
+
+@pytest.mark.parametrize("n", [50, 51, 54, 65])
+def test_short_passages_of_over_50_words_go(spark, n):
+    rnd = random.Random(n)
+    made = lambda k: " ".join("".join(rnd.choice("abcdefghij") for _ in range(rnd.randint(3, 6))) for _ in range(k))
+    passage = made(n)
+    assert len(passage) < 400
+    own = [made(80) for _ in range(4)]
+    texts = [f"{own[0]} {passage} {own[1]}", f"{own[2]}\n{passage}\n{own[3]}"]
+    got = [r["text"] for r in corpus_pipeline.repeated_passages(spark, rows_of(spark, texts), "").orderBy("doc_id").collect()]
+    assert got == ([f"{own[0]}  {own[1]}", f"{own[2]}\n\n{own[3]}"] if n > 50 else texts)
+
+
+def test_byte_strings_of_few_words_still_go(spark):
+    long = "".join(random.Random(1).choice("abcdefghij") for _ in range(450))
+    got = [r["text"] for r in corpus_pipeline.repeated_passages(spark, rows_of(spark, [f"one-{long}+two", f"three={long}/four"]), "").orderBy("doc_id").collect()]
+    assert got == ["one-+two", "three=/four"]
+
+
+def words_covered(texts, length, words):
+    """Bytes that a repeated string of bytes or of words covers, by brute force."""
+    data = [t.encode() for t in texts]
+    # white space of Unicode, without the separators 1C to 1F
+    places = [[(len(t[: m.start()].encode()), len(t[: m.end()].encode()), m[0]) for m in re.finditer(r"[^\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]+", t)] for t in texts]
+    seen = Counter(d[i : i + length] for d in data for i in range(len(d) - length + 1))
+    seen_words = Counter(tuple(w for _, _, w in p[i : i + words]) for p in places for i in range(len(p) - words + 1))
+    out = []
+    for d, p in zip(data, places, strict=True):
+        mark = bytearray(len(d))
+        for i in range(len(d) - length + 1):
+            if seen[d[i : i + length]] > 1:
+                mark[i : i + length] = b"\1" * length
+        for i in range(len(p) - words + 1):
+            if seen_words[tuple(w for _, _, w in p[i : i + words])] > 1:
+                a, b = p[i][0], p[i + words - 1][1]
+                mark[a:b] = b"\1" * (b - a)
+        out.append(bytes(x for x, m in zip(d, mark, strict=True) if not m))
+    return out
+
+
+def test_passages_by_brute_force(spark):
+    rnd = random.Random(5)
+    made = lambda n: "".join(rnd.choice(["ab", "c", "é", "def"]) + rnd.choice([" ", "\n", "\u2003", "\xa0", "", "\x1d"]) for _ in range(n))
+    seeds = [made(rnd.randint(10, 60)) for _ in range(5)]
+    texts = [made(rnd.randint(0, 20)) + rnd.choice(seeds)[rnd.randint(0, 20) :] + made(rnd.randint(0, 20)) for _ in range(60)]
+    texts += ["", "a " * 40, "a\n" * 30, texts[0], texts[0]]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = [bytes(r["kept"]) for r in sufdedup.repeats(df, length=40, words=9, block_bytes=500, texts=True).orderBy("doc_id").collect()]
+    assert got == words_covered(texts, 40, 9)
