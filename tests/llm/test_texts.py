@@ -127,6 +127,21 @@ def test_extraction_by_elements(spark):
     assert got == {1: ("http://a/x", want, len(want)), 2: ("http://a/x", want, len(want)), 3: (None, "", 0), 4: ("http://b/", "", 0)}
 
 
+@pytest.mark.parametrize("void", ['<img class="header-image">', '<img hidden src=x />', '<wbr aria-hidden="true">', '<img style="display:none">', '<area id="nav">', '<source class="ad">', '<img alt="a hidden gem">'])
+def test_extraction_behind_void_elements(void):
+    at = lambda page: [t for t, z in htmltext.blocks(page) if z == 2]
+    assert at(f"<body><article><p>A{void}b</p>{void}<p>B</p></article>") == ["Ab", "B"]
+    assert at(f"<body>{void}<article><p>A</p></article>") == ["A"]
+
+
+def test_hidden_is_an_attribute():
+    at = lambda attributes: [z for _, z in htmltext.blocks(f"<article><p {attributes}>A</p></article>")]
+    for shown in ('title="a hidden gem"', "title='so hidden '", 'title="aria-hidden=true"', 'aria-hidden="false"', 'data-style="display:none"', 'title=" style=\'display:none\' "', "data-hidden"):
+        assert at(shown) == [2], shown
+    for gone in ("hidden", 'HIDDEN=""', 'title="x" hidden', 'aria-hidden="true"', "aria-hidden=true", 'style="color:red; display : none"', "style='display:none'", "style=display:none"):
+        assert at(gone) == [-1], gone
+
+
 def test_extraction_by_differences(spark):
     page = lambda body: f"<div>Menu</div><div>{body}</div><div>Contact</div>"
     pages = spark.createDataFrame([(k, f"http://a/{k}", page(f"story {k}")) for k in range(6)] + [(9, "http://c/", page("alone"))], "page_id long, url string, html string")
