@@ -10,8 +10,9 @@ from pyspark.sql import functions as F
 from probejoin.llm import bpe, decontam, jaccard, langid, sufdedup
 from probejoin.llm.common import shared_folder, table
 
-#: Share of a text's n-grams that its language must have; below it no language stands out.
-LEAST_SHARE = 0.25
+#: Share of a text's n-grams that its language must hold, against the share expected of unseen rows of that language;
+#: below it none stands out, however many languages there are.
+LEAST_KNOWN = 0.4
 
 
 #: Words of a passage that must not occur twice: passages of over 50 words go.
@@ -21,7 +22,7 @@ PASSAGE_WORDS = 51
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose text has a language; those without letters or without a language that stands out go."""
     model = langid.train(langid.training_rows(docs))
-    kept = langid.predict(docs, model, keep=True).where((F.col("lang_pred") != langid.UNDECIDED) & (F.col("score") >= LEAST_SHARE))
+    kept = langid.predict(docs, model, keep=True).where((F.col("lang_pred") != langid.UNDECIDED) & (F.col("known") >= LEAST_KNOWN))
     return kept.select(*docs.columns)
 
 

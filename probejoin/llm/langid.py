@@ -32,6 +32,8 @@ from probejoin.llm.common import crc_mod, crc_mod_py, lean, only
 
 SIZES = (3, 4)
 UNDECIDED = "und"
+#: Stands for all n-grams of a language among their codes, none of which is 0.
+ALL = 0
 #: Bytes of a text that are looked at together; texts are read whole, piece by piece.
 PIECE = 1 << 20
 #: Multipliers of the two hash functions (odd, from the golden ratio and its square).
@@ -68,6 +70,7 @@ class LanguageFilter:
     prior: int
     table: np.ndarray  # slices of eight languages by slots
     log2: int
+    expected: np.ndarray  # by language: share of its own n-grams that it would hold in rows it has not seen
 
     def __post_init__(self):
         bits = np.unpackbits(self.table[:, :, None], axis=2, bitorder="little").mean(axis=1).reshape(-1)[: len(self.languages)]
@@ -89,19 +92,19 @@ class LanguageFilter:
         hits = hits[: len(self.languages)]
         return np.maximum((hits - total * self.false) / (1 - self.false), 0), total
 
-    def decide(self, text: str | None) -> tuple[str, float]:
-        """Language and its share of all corrected counts."""
+    def decide(self, text: str | None) -> tuple[str, float, float]:
+        """Language, its share of all corrected counts, and the share of the text's n-grams that it holds against what is expected of its rows."""
         if not text or not self.languages:
-            return UNDECIDED, 0.0
+            return UNDECIDED, 0.0, 0.0
         data = letters(text)
         if len(data) < 3 or not data.translate(None, _HIGH).strip():
             if not has_letter(text):
-                return UNDECIDED, 0.0
-        got, _ = self.counts(data)
+                return UNDECIDED, 0.0, 0.0
+        got, total = self.counts(data)
         if got.max(initial=0) <= 0:
-            return self.languages[self.prior], 0.0
+            return self.languages[self.prior], 0.0, 0.0
         best = int(got.argmax())
-        return self.languages[best], float(got[best] / got.sum())
+        return self.languages[best], float(got[best] / got.sum()), float(got[best] / total / self.expected[best]) if self.expected[best] else 1.0
 
 
 _HIGH = bytes(range(128, 256))
@@ -117,7 +120,7 @@ def train(rows: DataFrame, text_col: str = "text", lang_col: str = "lang", rows_
     sizes = {r["lang"]: r["n"] for r in rows.groupBy("lang").agg(F.count("*").alias("n")).collect()}
     names = sorted(sizes)
     if not names:
-        return LanguageFilter([], 0, np.zeros((1, 1 << slots_log2), np.uint8), slots_log2)
+        return LanguageFilter([], 0, np.zeros((1, 1 << slots_log2), np.uint8), slots_log2, np.zeros(0))
     prior = max(range(len(names)), key=lambda i: (sizes[names[i]], -i))
     odds = F.create_map(*[F.lit(x) for k in names for x in (k, min(1.0, 1.5 * rows_per_language / sizes[k] + 100 / sizes[k]))])
     drawn = rows.withColumn("h", F.xxhash64("text")).where((F.pmod("h", F.lit(1 << 30)) / F.lit(float(1 << 30))) < odds[F.col("lang")])
@@ -129,36 +132,43 @@ def train(rows: DataFrame, text_col: str = "text", lang_col: str = "lang", rows_
             for text, lang in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 held.setdefault(lang, []).append(np.frombuffer(letters(text), np.uint8))
         for lang, texts in held.items():
+            every = sum(max(len(t) - n + 1, 0) for t in texts for n in SIZES)
+            yield pa.RecordBatch.from_arrays([pa.array([lang], pa.string()), pa.array([ALL], pa.int64()), pa.array([every], pa.int64())], ["lang", "code", "n"])
             for n in SIZES:
                 code, c = np.unique(np.concatenate([grams(t, n) for t in texts]), return_counts=True)
                 yield pa.RecordBatch.from_arrays([pa.array([lang] * len(code), pa.string()), pa.array(code.astype(np.int64)), pa.array(c.astype(np.int64))], ["lang", "code", "n"])
 
-    counted = drawn.select("text", "lang").mapInArrow(count, "lang string, code long, n long").groupBy("lang", "code").agg(F.sum("n").alias("n")).where(F.col("n") >= least)
+    counted = drawn.select("text", "lang").mapInArrow(count, "lang string, code long, n long").groupBy("lang", "code").agg(F.sum("n").alias("n")).where((F.col("n") >= least) | (F.col("code") == ALL))
     got = counted.toArrow()
     which = np.array([names.index(x) for x in got["lang"].to_pylist()], np.int64)
     code, n = got["code"].to_numpy(), got["n"].to_numpy().astype(np.float64)
+    every = np.ones(len(names))
+    every[which[code == ALL]] = np.maximum(n[code == ALL], 1)
+    which, n, code = which[code != ALL], n[code != ALL], code[code != ALL]
     codes, at = np.unique(code, return_inverse=True)
     freq = np.zeros((len(codes), len(names)))
     freq[at, which] = n
+    again = np.where(freq > least, freq, 0)  # still known without the occurrence that is looked at
     for size in SIZES:
         own = (codes.astype(np.uint64) >> np.uint64(56)) == size
         freq[own] /= np.maximum(freq[own].sum(axis=0), 1)
     member = (freq > 0) & (freq >= share * freq.max(axis=1, keepdims=True))
+    expected = (again * member).sum(axis=0) / every
     tables = np.zeros(((len(names) + 7) // 8, 1 << slots_log2), np.uint8)
     for k in range(len(names)):
         for s in slots(codes[member[:, k]].astype(np.uint64), slots_log2):
             np.bitwise_or.at(tables[k // 8], s, np.uint8(1 << k % 8))
-    return LanguageFilter(names, prior, tables, slots_log2)
+    return LanguageFilter(names, prior, tables, slots_log2, expected)
 
 
 def predict(docs: DataFrame, model: LanguageFilter, id_col: str = "doc_id", text_col: str = "text", keep: bool = False) -> DataFrame:
-    """Per row: id_col, held_out, lang_pred, score; with keep, all columns of docs and then lang_pred and score. Narrow."""
+    """Per row: id_col, held_out, lang_pred, score; with keep, all columns of docs and then lang_pred, score and known, the share of n-grams that lang_pred holds against what is expected of its rows. Narrow."""
     lean(docs.sparkSession)
     sent = docs.sparkSession.sparkContext.broadcast(model)
     chosen = docs if keep else docs.select(id_col, text_col)
     text_at = chosen.columns.index(text_col)
     added = [T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())]
-    schema = T.StructType([*chosen.schema.fields, *added] if keep else [chosen.schema[id_col], T.StructField("held_out", T.BooleanType()), *added])
+    schema = T.StructType([*chosen.schema.fields, *added, T.StructField("known", T.DoubleType())] if keep else [chosen.schema[id_col], T.StructField("held_out", T.BooleanType()), *added])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         only("")
@@ -166,7 +176,8 @@ def predict(docs: DataFrame, model: LanguageFilter, id_col: str = "doc_id", text
         for batch in batches:
             got = [held.decide(t.as_py()) for t in batch.column(text_at)]
             first = batch.columns if keep else [batch.column(0), pa.array([crc_mod_py(i, 3) == 1 for i in batch.column(0).to_pylist()], pa.bool_())]
-            yield pa.RecordBatch.from_arrays([*first, pa.array([g[0] for g in got], pa.string()), pa.array([g[1] for g in got], pa.float64())], schema.names)
+            last = [pa.array([g[2] for g in got], pa.float64())] if keep else []
+            yield pa.RecordBatch.from_arrays([*first, pa.array([g[0] for g in got], pa.string()), pa.array([g[1] for g in got], pa.float64()), *last], schema.names)
 
     return chosen.mapInArrow(run, schema)
 

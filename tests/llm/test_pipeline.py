@@ -5,11 +5,12 @@ import re
 from collections import Counter
 
 import pytest
+from pyspark.sql import functions as F
 
 import corpus_pipeline
 
 from probejoin.llm import sufdedup
-from probejoin.llm.common import table
+from probejoin.llm.common import crc_mod_py, table
 
 
 def test_stages(spark):
@@ -80,3 +81,26 @@ def test_passages_by_brute_force(spark):
     df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
     got = [bytes(r["kept"]) for r in sufdedup.repeats(df, length=40, words=9, block_bytes=500, texts=True).orderBy("doc_id").collect()]
     assert got == words_covered(texts, 40, 9)
+
+
+UNLEARNED = ["Kaikki ihmiset syntyvät vapaina ja tasavertaisina arvoltaan ja oikeuksiltaan. Heille on annettu järki ja omatunto", "Wszyscy ludzie rodzą się wolni i równi pod względem swej godności i swych praw. Są oni obdarzeni rozumem", "Tutti gli esseri umani nascono liberi ed eguali in dignità e diritti. Essi sono dotati di ragione", "Все люди рождаются свободными и равными в своем достоинстве и правах"]
+
+
+@pytest.mark.parametrize("languages", [2, 4, 5])
+def test_no_language_stands_out(spark, languages):
+    """Unlearned languages and letter noise go, clean rows stay, however many languages are learned."""
+    docs = table(spark, "/root/testdata/sf0.01", "documents").where("text is not null")
+    names = sorted(r["lang"] for r in docs.select("lang").distinct().collect())
+    if languages == 5:  # a fifth one that none of the rows below is of
+        turned = docs.where("lang = 'en' and doc_id % 4 = 0").withColumn("text", F.reverse(F.translate("text", "etaoinshr", "qxzjkvwyg"))).withColumn("lang", F.lit("xx")).withColumn("doc_id", F.col("doc_id") + 1_000_000)
+        docs = docs.unionByName(turned)
+    else:
+        docs = docs.where(F.col("lang").isin(names[:languages]))
+    rnd = random.Random(1)
+    noise = ["".join(" " if rnd.random() < 0.16 else rnd.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(300)) for _ in range(20)]
+    odd = rows_of(spark, UNLEARNED + noise).withColumn("doc_id", -1 - F.col("doc_id")).withColumn("lang", F.lit(None).cast("string"))
+    kept = corpus_pipeline.language(spark, docs.unionByName(odd.select(*docs.columns)), "").select("doc_id").collect()
+    assert min(r["doc_id"] for r in kept) >= 0
+    clean = docs.where("text rlike '[a-zA-Z]{3}'").select("doc_id").collect()
+    clean = {r["doc_id"] for r in clean if crc_mod_py(r["doc_id"], 3) == 1}
+    assert len(clean) > 50 and len(clean & {r["doc_id"] for r in kept}) >= 0.99 * len(clean)
