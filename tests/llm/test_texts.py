@@ -149,6 +149,25 @@ def test_extraction_by_differences(spark):
     assert {k: v for k, v in got.items() if k < 6} == {k: f"story {k}" for k in range(6)} and got[9] == "Menu\n\nalone\n\nContact"
 
 
+@pytest.mark.parametrize("partitions", [1, 3, 50])
+def test_extraction_past_copies(spark, partitions):
+    """Copies and pages that hold all of a page's blocks are passed over, and partitions change nothing."""
+    page = lambda *body: "".join(f"<div>{b}</div>" for b in ("Menu", *body, "Contact"))
+    rows = [(k, f"http://a/1?copy={k}", page("one")) for k in range(5)]  # copies of one path
+    rows += [(10, "http://a/2", page("one", "two")), (11, "http://a/3", page("one", "two", "three")), (12, "http://a/4", page("far"))]
+    rows += [(20, "http://b/1", page("left")), (21, "http://b/2", page("right")), (30, "http://c/1", page("c")), (31, "http://c/2", page("c")), (40, None, page("n"))]
+    want = {**dict.fromkeys(range(5), "one"), 10: "two", 11: "three", 12: "far", 20: "left", 21: "right", 30: "Menu\n\nc\n\nContact", 31: "Menu\n\nc\n\nContact", 40: "Menu\n\nn\n\nContact"}
+    held = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", str(partitions))
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
+    try:
+        got = {r["page_id"]: r["text"] for r in htmltext.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", held)
+        spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
+    assert got == want
+
+
 def test_longest_common_lines():
     a, b = list("axbycz"), list("aqbwcz")
     assert {a[i] for i in htmltext.shared(a, b)} == set("abcz")
