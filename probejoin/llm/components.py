@@ -28,5 +28,5 @@ def components(edges: DataFrame, rounds: int = 64) -> DataFrame:
         jumped = written(jumped, "labels")
         labels = jumped.select("v", "label")
         if jumped.where("moved").isEmpty():
-            break
-    return labels
+            return labels
+    raise RuntimeError(f"labels still moved after {rounds} rounds")

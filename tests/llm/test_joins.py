@@ -178,6 +178,12 @@ def test_vectors(spark, d, blocks, rows):
     assert got == {ids[a]: (len(near), least[a], least[a] == ids[a]) for a, near in enumerate(linked)}
 
 
+def test_components_are_finished_or_none(spark):
+    chain = spark.createDataFrame([(k, k + 1) for k in range(40)], "u long, v long")
+    with pytest.raises(RuntimeError):
+        components.components(chain, rounds=1)
+
+
 def test_components(spark):
     edges = [(k, k + 1) for k in range(40)] + [(100, 101), (101, 102), (7, 7), (200, 150)]
     got = {r["v"]: r["label"] for r in components.components(spark.createDataFrame(edges, "u long, v long")).collect()}
