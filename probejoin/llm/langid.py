@@ -6,9 +6,10 @@ array: a slot's bits say which languages have set it, so that two reads and one
 every language that holds an n-gram. A text's bits are counted by language, the filter's
 rate of false positives is taken off, and the highest corrected count decides.
 
-Training reads a bounded sample: `rows_per_language` rows of each language (default 3,000),
-those of the smallest hash, so that it does not depend on order. The slot array has a fixed
-size (2**slots_log2 bytes for every eight languages), the only thing sent to executors.
+Training reads a bounded sample: `rows_per_language` texts of each language (default 3,000;
+copies count once), those of the smallest hash, so that it does not depend on order. The slot
+array has a fixed size (2**slots_log2 bytes for every eight languages), the only thing sent
+to executors.
 
 Rows: null text, or one without a letter, is `und` with score 0; a text with letters always
 gets a learned language (the most frequent one where no n-gram is known); without labelled
@@ -117,13 +118,14 @@ def train(rows: DataFrame, text_col: str = "text", lang_col: str = "lang", rows_
     n-grams seen at least `least` times in a language.
     """
     rows = rows.select(F.col(text_col).alias("text"), F.col(lang_col).alias("lang")).where("text is not null and lang is not null")
-    sizes = {r["lang"]: r["n"] for r in rows.groupBy("lang").agg(F.count("*").alias("n")).collect()}
+    found = rows.groupBy("lang").agg(F.count("*").alias("n"), F.approx_count_distinct(F.xxhash64("text")).alias("texts")).collect()
+    sizes, distinct = {r["lang"]: r["n"] for r in found}, {r["lang"]: r["texts"] for r in found}
     names = sorted(sizes)
     if not names:
         return LanguageFilter([], 0, np.zeros((1, 1 << slots_log2), np.uint8), slots_log2, np.zeros(0))
     prior = max(range(len(names)), key=lambda i: (sizes[names[i]], -i))
-    odds = F.create_map(*[F.lit(x) for k in names for x in (k, min(1.0, 1.5 * rows_per_language / sizes[k] + 100 / sizes[k]))])
-    drawn = rows.withColumn("h", F.xxhash64("text")).where((F.pmod("h", F.lit(1 << 30)) / F.lit(float(1 << 30))) < odds[F.col("lang")])
+    odds = F.create_map(*[F.lit(x) for k in names for x in (k, min(1.0, 1.5 * rows_per_language / distinct[k] + 100 / distinct[k]))])
+    drawn = rows.withColumn("h", F.xxhash64("text")).where((F.pmod("h", F.lit(1 << 30)) / F.lit(float(1 << 30))) < odds[F.col("lang")]).dropDuplicates(["lang", "h"])
     drawn = drawn.withColumn("k", F.row_number().over(Window.partitionBy("lang").orderBy("h"))).where(F.col("k") <= rows_per_language)
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -9,6 +9,7 @@ from collections import Counter
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from probejoin.llm import decontam, htmltext, langid, ngramlm, warc
 from probejoin.llm.common import shared_folder, table
@@ -32,6 +33,18 @@ def test_language_edges(spark):
     assert got == {1: "und", 2: "und", 3: "en", None: "en"}
 
 
+def test_language_sample_counts_texts(spark):
+    """Copies of one text don't fill the sample of its language, wherever their hash falls."""
+    words = ["the", "and", "of", "with", "from", "over"]
+    texts = [f"{words[k % 6]} {words[k // 6 % 6]} {words[k // 36]}" for k in range(100)]
+    ranked = [r["text"] for r in spark.createDataFrame([(x,) for x in texts], "text string").orderBy(F.xxhash64("text")).collect()]
+    hot = ranked[0]
+    df = spark.createDataFrame([(x, "en") for x in texts + [hot] * 500], "text string, lang string")
+    once = spark.createDataFrame([(x, "en") for x in texts], "text string, lang string")
+    got, want = (langid.train(x, rows_per_language=60, least=1) for x in (df, once))
+    assert (got.table == want.table).all() and got.expected == want.expected
+
+
 def edits_brute(item, text):
     row = [0] * (len(text) + 1)
     for i, c in enumerate(item, 1):
