@@ -20,6 +20,9 @@ that are still in different components after that are compared, in tiles, by par
 Shingles are 64-bit hashes of words' hashes; two that clash would be one. Everything else is
 exact: no partner or group is dropped.
 
+The result is components only: in groups of over six sets the links made join each component
+but are not all links, so no number of links and no list of all pairs can be had from them.
+
 Rows: a text without words is an empty set, linked with nothing; with fewer words than a
 shingle the whole sequence is its only shingle; null text is no words; ids may repeat or be
 null (a null id never names a component unless all its members are null); every input row
