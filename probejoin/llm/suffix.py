@@ -1,28 +1,41 @@
-"""Suffix arrays by induced sorting, one bucket at a time in numpy.
-
-Suffixes are classified as smaller (S) or larger (L) than the next one; leftmost-S
-substrings are sorted by one round of inducing, named, and the string of names is sorted by
-doubling ranks; a second round induces all suffixes from them. Inducing goes bucket by bucket:
-all of a bucket's suffixes that are ready are taken together, their predecessors dealt out
-stably to the buckets of their first letters, and those that stay in the bucket form the
-next wave. So the sequential scan becomes a few array operations for each letter.
+"""Suffix arrays by induced sorting, and common prefixes in text order.
+
+A suffix is small if it comes before the one that follows it in the text, else large. The
+leftmost of each run of small suffixes are sorted first: one round of inducing puts the
+substrings between them in order, equal ones get one name, and the order of the suffixes of
+the string of names, at most half as long and sorted by the same procedure, is theirs. A
+second round induces all the other suffixes from them.
+
+A round of inducing goes through the text's letters in order (few letters, as in bytes): all
+suffixes of a letter that are ready are taken together, their predecessors dealt out stably
+to the letters they begin with, and those that stay with the letter form the next wave; it
+touches each place once. Strings of names have nearly as many letters as places; there a
+suffix's rank follows from its letter and the rank of the suffix after it, and runs of such
+steps are halved until each ends at a suffix that is known, which takes as many sorts as the
+longest run has binary digits.
+
+Common prefixes are found in text order: where a suffix and its neighbour in the order are
+preceded by the same letter, the value is that of the place before less one. Only the other
+places are compared, eight bytes at a time.
 """
 
 from __future__ import annotations
 
 import numpy as np
 
-from probejoin.llm.common import BASES, prefix_hash, span_hash
+#: Letters up to which a round goes letter by letter.
+FEW = 1024
 
 
-def classify(t: np.ndarray) -> np.ndarray:
-    """True where a suffix is smaller than the one after it; the last letter is the sentinel."""
+def small_suffixes(t: np.ndarray) -> np.ndarray:
+    """True where a suffix is smaller than the one after it; the last letter is a sentinel."""
     n = len(t)
-    step = np.sign(np.diff(t.astype(np.int32)))
+    step = np.sign(np.diff(t.astype(np.int64)))
     place = np.where(step != 0, np.arange(n - 1), n)
     following = np.minimum.accumulate(place[::-1])[::-1]
     out = np.ones(n, np.bool_)
-    out[:-1] = step[np.minimum(following, n - 2)] > 0
+    if n > 1:
+        out[:-1] = step[np.minimum(following, n - 2)] > 0
     return out
 
 
@@ -48,8 +61,8 @@ class _Dealt:
         return None if not got else got[0] if len(got) == 1 else np.concatenate(got)
 
 
-def induce(t: np.ndarray, small: np.ndarray, seeds: np.ndarray, letters: int) -> np.ndarray:
-    """All suffixes in order, from leftmost-S suffixes given in order (or unordered, to sort their substrings)."""
+def by_letters(t: np.ndarray, small: np.ndarray, seeds: np.ndarray, letters: int) -> np.ndarray:
+    """All places in the order that the leftmost small suffixes, in the order given, induce."""
     own = _Dealt(letters)
     own.deal(seeds, t[seeds])
     large, smaller = _Dealt(letters), _Dealt(letters)
@@ -73,7 +86,7 @@ def induce(t: np.ndarray, small: np.ndarray, seeds: np.ndarray, letters: int) ->
     for c in range(letters - 1, -1, -1):
         wave = smaller.take(c)
         if c == 0:
-            wave = np.array([len(t) - 1], t_index(t))
+            wave = np.array([len(t) - 1])
         while wave is not None and len(wave):
             out.append(wave)
             before = wave[wave > 0] - 1
@@ -91,94 +104,133 @@ def induce(t: np.ndarray, small: np.ndarray, seeds: np.ndarray, letters: int) ->
     return np.concatenate(out)[::-1]
 
 
-def t_index(t: np.ndarray):
-    return np.int32 if len(t) < 1 << 31 else np.int64
+#: Letters up to which pairs of substrings are compared together; longer ones are few.
+TOGETHER = 48
+
+
+def differs(t: np.ndarray, found: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """Whether each substring, given in order by place and length, differs from the one before it."""
+    a, b = found[:-1], found[1:]
+    out = size[:-1] != size[1:]
+    live = np.flatnonzero(~out)
+    for k in range(TOGETHER):
+        live = live[size[live] > k]
+        if not len(live):
+            return out
+        other = t[a[live] + k] != t[b[live] + k]
+        out[live[other]] = True
+        live = live[~other]
+    for i in live[size[live] > TOGETHER].tolist():
+        x, y, n = int(a[i]), int(b[i]), int(size[i])
+        out[i] = not np.array_equal(t[x + TOGETHER : x + n], t[y + TOGETHER : y + n])
+    return out
 
 
-def ordered(names: np.ndarray, depth: int | None) -> np.ndarray:
-    """Places of a string of names in the order of its suffixes, by doubling ranks; depth: names that matter."""
-    n, rank, k = len(names), names.astype(np.int64), 1
-    while True:
-        following = np.full(n, 0, np.int64)
-        following[: n - k] = rank[k:] + 1
-        key = rank * np.int64(n + 2) + following
-        order = np.argsort(key, kind="stable")
-        sorted_key = key[order]
-        new = np.zeros(n, np.int64)
-        new[order] = np.concatenate(([0], np.cumsum(sorted_key[1:] != sorted_key[:-1])))
-        k *= 2
-        if new[order[-1]] == n - 1 or k >= n or (depth is not None and k >= depth):
-            return order
-        rank = new
-
-
-def suffix_array(text: np.ndarray, depth: int | None = None) -> np.ndarray:
-    """Places of all suffixes of text (small integers from 0) in order; with depth, in the order of their first depth letters at least."""
-    n = len(text)
-    if n < 2:
-        return np.arange(n)
-    t = np.zeros(n + 1, np.int16)
-    t[:n] = text
-    t[:n] += 1
-    letters = int(t.max()) + 1
-    small = classify(t)
-    seeds = (np.flatnonzero(small[1:] & ~small[:-1]) + 1).astype(t_index(t))
-    by_substring = induce(t, small, seeds, letters)
-    leftmost = np.zeros(n + 1, np.bool_)
-    leftmost[seeds] = True
-    found = by_substring[leftmost[by_substring]]
-    if len(found) > 1:
-        end = np.full(n + 1, n + 1, np.int64)
-        end[seeds[:-1]] = seeds[1:].astype(np.int64) + 1
-        pre = prefix_hash(t, BASES[0])
-        stop = np.minimum(end[found], n + 1)
-        value, length = span_hash(pre, found.astype(np.int64), stop, BASES[0]), stop - found
-        new = (value[1:] != value[:-1]) | (length[1:] != length[:-1])
-        name = np.zeros(n + 1, np.int64)
-        name[found] = np.concatenate(([0], np.cumsum(new)))
-        names = name[seeds]
-        if not new.all():
-            found = seeds[ordered(names, None if depth is None else depth // 2 + 1)]
-    return induce(t, small, found, letters)[1:]
-
-
-def common_prefixes(text: np.ndarray, order: np.ndarray, most: int) -> np.ndarray:
-    """For each place of the text, in text order, how far its suffix agrees with the one before it in order, up to most letters."""
-    n = len(text)
-    pre = prefix_hash(text, BASES[0])
-    out = np.zeros(n, np.int64)
-    a, b = order[1:].astype(np.int64), order[:-1].astype(np.int64)
-    got = np.zeros(len(a), np.int64)
-    step = 1 << max(0, most.bit_length() - 1)
-    while step:
-        fits = (got + step <= most) & (np.maximum(a, b) + got + step <= n)
-        i = np.flatnonzero(fits)
-        x, y = a[i] + got[i], b[i] + got[i]
-        same = span_hash(pre, x, x + step, BASES[0]) == span_hash(pre, y, y + step, BASES[0])
-        got[i[same]] += step
-        step >>= 1
-    out[a] = got
+def dense(key: np.ndarray) -> np.ndarray:
+    """Rank of each value among the distinct ones."""
+    order = np.argsort(key)
+    own = key[order]
+    out = np.empty(len(key), np.int64)
+    out[order] = np.concatenate(([0], np.cumsum(own[1:] != own[:-1])))
     return out
 
 
-def repeated_windows(text: np.ndarray, order: np.ndarray, valid: np.ndarray, length: int) -> np.ndarray:
-    """Class number of every place whose next `length` letters occur again, else -1.
-
-    Classes are runs of the order whose permuted common prefixes reach length; whether they
-    do is read from two independent hashes of the windows. valid: places that may count.
+def chained(key: np.ndarray, hop: np.ndarray) -> np.ndarray:
+    """Ranks of the sequences of keys met from each node on; a sequence ends at a node that hops to itself."""
+    rank = dense(key)
+    while True:
+        on = hop != np.arange(len(hop))
+        if not on.any():
+            return rank
+        rank = dense(rank * np.int64(len(rank) + 1) + np.where(on, rank[hop] + 1, 0))
+        hop = hop[hop]
+
+
+def by_chains(t: np.ndarray, small: np.ndarray, first: np.ndarray) -> np.ndarray:
+    """Rank of every suffix from those of the leftmost small ones in first (-1 elsewhere); equal ranks stay equal."""
+    n, place = len(t), np.arange(len(t))
+    leftmost = first >= 0
+    nodes = np.flatnonzero(~small | leftmost)
+    at = np.cumsum(~small | leftmost) - 1
+    own = leftmost[nodes]
+    key = (2 * t[nodes] + own) * np.int64(n + 1) + np.where(own, first[nodes], 0)
+    large = np.zeros(n, np.int64)
+    large[nodes] = chained(key, np.where(own, np.arange(len(nodes)), at[np.minimum(nodes + 1, n - 1)]))
+    key = (2 * t + small) * np.int64(n + 1) + np.where(small, 0, large)
+    hop = np.where(small, np.minimum(place + 1, n - 1), place)
+    return chained(key, hop)
+
+
+def _sorted_with_sentinel(t: np.ndarray) -> np.ndarray:
+    """Places in suffix order of letters that end in the only 0."""
+    n = len(t)
+    if n < 3:
+        return np.arange(n - 1, -1, -1)
+    small = small_suffixes(t)
+    seeds = np.flatnonzero(small[1:] & ~small[:-1]) + 1
+    few = int(t.max()) < FEW
+    letters = int(t.max()) + 1
+    name = np.full(n, -1, np.int64)
+    if few:
+        leftmost = np.zeros(n, np.bool_)
+        leftmost[seeds] = True
+        found = by_letters(t, small, seeds, letters)
+        found = found[leftmost[found]]
+        size = np.empty(n, np.int64)
+        size[seeds] = np.append(np.diff(seeds) + 1, 1)
+        name[found] = np.concatenate(([0], np.cumsum(differs(t, found, size[found]))))
+    else:
+        name[seeds] = 0
+        name[seeds] = dense(by_chains(t, small, name)[seeds])
+    names = name[seeds]
+    found = np.argsort(names) if int(names.max()) == len(seeds) - 1 else _sorted_with_sentinel(names)
+    if few:
+        return by_letters(t, small, seeds[found], letters)
+    name[seeds[found]] = np.arange(len(seeds))
+    return np.argsort(by_chains(t, small, name))
+
+
+def suffix_array(letters: np.ndarray) -> np.ndarray:
+    """Places of all suffixes of a string of small integers from 0 in order."""
+    t = np.zeros(len(letters) + 1, np.int64 if len(letters) and letters.max() >= FEW else np.int16)
+    t[:-1] = letters
+    t[:-1] += 1
+    return _sorted_with_sentinel(t)[1:]
+
+
+def common_prefixes(letters: np.ndarray, order: np.ndarray, room: np.ndarray) -> np.ndarray:
+    """For each place, in text order, how far its suffix agrees with the one before it in order, up to room letters.
+
+    room falls by one from place to place but where it is 0, as behind the last letter of a string.
     """
-    n = len(text)
-    fits = valid.copy()
-    fits[max(0, n - length + 1) :] = False
-    at = order[fits[order]].astype(np.int64)
-    out = np.full(n, -1, np.int64)
-    if len(at) < 2:
-        return out
-    same = np.ones(len(at) - 1, np.bool_)
-    for base in BASES:
-        value = span_hash(prefix_hash(text, base), at, at + length, base)
-        same &= value[1:] == value[:-1]
-    run = np.concatenate(([0], np.cumsum(~same)))
-    again = np.bincount(run)[run] > 1
-    out[at[again]] = run[again]
-    return out
+    n = len(letters)
+    other = np.full(n, -1, np.int64)
+    other[order[1:]] = order[:-1]
+    at = np.arange(n)
+    same = (other > 0) & (at > 0)
+    same[same] = letters[at[same] - 1] == letters[other[same] - 1]
+    same[1:] &= room[:-1] > 0  # the first place of a string is compared
+    out = np.zeros(n, np.int64)
+    live = np.flatnonzero(~same & (other >= 0) & (room > 0))
+    if letters.dtype == np.uint8:
+        padded = np.concatenate((letters, np.zeros(8, np.uint8)))
+        eight = np.ndarray((n + 1,), np.uint64, buffer=padded.data, strides=(1,))
+    else:
+        eight = None
+    x, y, done = live, other[live], 0
+    while len(live):
+        if eight is not None:
+            apart = eight[np.minimum(x + done, n)] ^ eight[np.minimum(y + done, n)]
+            got = np.bitwise_count((apart & (~apart + np.uint64(1))) - np.uint64(1)).astype(np.int64) >> 3
+            step = 8
+        else:
+            i, k = x + done, y + done
+            inside = (i < n) & (k < n)
+            got = np.where(inside, letters[np.minimum(i, n - 1)] == letters[np.minimum(k, n - 1)], False).astype(np.int64)
+            step = 1
+        out[live] = done + got
+        on = (got == step) & (room[live] > done + step)
+        live, x, y, done = live[on], x[on], y[on], done + step
+    out = np.minimum(np.minimum(out, room), np.where(other >= 0, n - other, 0))
+    last = np.maximum.accumulate(np.where(same, -1, at))
+    return np.where(same, np.maximum(out[last] - (at - last), 0), out)
