@@ -43,11 +43,13 @@ from pyspark.sql import types as T
 
 from probejoin.llm.blocks import blocked, blocks_of, pack_keys, packed, slices, texts_of, unpack_keys, unpacked, unzipped, zipped
 from probejoin.llm.common import BASES, mix64, prefix_hash, shared_folder, span_hash
-from probejoin.llm.suffix import repeated_windows, suffix_array
+from probejoin.llm.suffix import repeated_windows
 
 TWIN, SHARD, WINDOWS = 1, 2, 4
 #: Bytes of a shard that are sorted together.
 SHARD_BYTES = 400_000
+#: Ends a string within a shard; no byte of UTF-8.
+SEPARATOR = 255
 
 
 class Shape:
@@ -349,21 +351,20 @@ def _sort_shard(table: pa.Table, s: Shape) -> pa.Table:
 def _sorted(bodies: list[bytes], order: np.ndarray, part: slice, doc, lo, size, block, s: Shape) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     own = size[part]
     total = int(own.sum()) + len(own)
-    text = np.full(total, 256, np.int16)
+    text = np.full(total, SEPARATOR, np.uint8)
+    room = np.zeros(total, np.int64)
     start = np.cumsum(own + 1) - (own + 1)
-    valid = np.zeros(total, np.bool_)
-    for k, (i, a, n) in enumerate(zip(order[part].tolist(), start.tolist(), own.tolist(), strict=True)):
+    for i, a, n in zip(order[part].tolist(), start.tolist(), own.tolist(), strict=True):
         text[a : a + n] = np.frombuffer(bodies[i], np.uint8)
-        valid[a : a + max(0, n - s.length + 1)] = True
-    cls = repeated_windows(text, suffix_array(text, s.length), valid, s.length)
-    at = np.flatnonzero(cls >= 0)
+        room[a : a + n] = np.arange(n, 0, -1)
+    at, cls = repeated_windows(text, room, s.length)
     if not len(at):
         return np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0, np.int64)
     which = np.searchsorted(start, at, side="right") - 1
     b, d, x = block[part][which], doc[part][which], lo[part][which] + at - start[which]
     # the same place may lie around two anchors: a class counts if it holds two places
-    by = np.lexsort((x, d, b, cls[at]))
-    c, b, d, x = cls[at][by], b[by], d[by], x[by]
+    by = np.lexsort((x, d, b, cls))
+    c, b, d, x = cls[by], b[by], d[by], x[by]
     new = np.concatenate(([True], (c[1:] != c[:-1]) | (b[1:] != b[:-1]) | (d[1:] != d[:-1]) | (x[1:] != x[:-1])))
     c, b, d, x = c[new], b[new], d[new], x[new]
     _, inverse, n = np.unique(c, return_inverse=True, return_counts=True)

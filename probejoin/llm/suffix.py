@@ -137,13 +137,14 @@ def dense(key: np.ndarray) -> np.ndarray:
 
 def chained(key: np.ndarray, hop: np.ndarray) -> np.ndarray:
     """Ranks of the sequences of keys met from each node on; a sequence ends at a node that hops to itself."""
-    rank = dense(key)
-    while True:
-        on = hop != np.arange(len(hop))
-        if not on.any():
-            return rank
+    rank, on = dense(key), hop != np.arange(len(hop))
+    while on.any():
         rank = dense(rank * np.int64(len(rank) + 1) + np.where(on, rank[hop] + 1, 0))
-        hop = hop[hop]
+        further = hop[hop]
+        if (further == hop).all():  # all ends are in the ranks
+            break
+        hop = further
+    return rank
 
 
 def by_chains(t: np.ndarray, small: np.ndarray, first: np.ndarray) -> np.ndarray:
@@ -234,3 +235,20 @@ def common_prefixes(letters: np.ndarray, order: np.ndarray, room: np.ndarray) ->
     out = np.minimum(np.minimum(out, room), np.where(other >= 0, n - other, 0))
     last = np.maximum.accumulate(np.where(same, -1, at))
     return np.where(same, np.maximum(out[last] - (at - last), 0), out)
+
+
+def repeated_windows(letters: np.ndarray, room: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
+    """Places whose next length letters also follow another place, and the number of their class.
+
+    letters are strings that each end in a letter that none of them holds; room is what is left of
+    the own string, 0 at its end. Classes are runs of the suffix array in which the permuted common
+    prefixes reach length; nothing but those prefixes decides.
+    """
+    order = suffix_array(letters)
+    reach = common_prefixes(letters, order, room)[order] >= length
+    if not len(order) or not reach.any():
+        return np.empty(0, np.int64), np.empty(0, np.int64)
+    run = np.cumsum(~reach)
+    again = reach.copy()
+    again[:-1] |= reach[1:]
+    return order[again], run[again]

@@ -11,21 +11,32 @@ import pytest
 from probejoin.llm import components, jaccard, suffix, sufdedup, vectorjoin
 
 
-def test_suffix_arrays():
+@pytest.mark.parametrize("few", [1024, 3, 1])
+def test_suffix_arrays(monkeypatch, few):
+    """With few letters and, from few = 3 or 1 on, by chains as strings of names are sorted."""
+    monkeypatch.setattr(suffix, "FEW", few)
     rng = np.random.default_rng(1)
     for _ in range(150):
         n = int(rng.integers(2, 60))
         s = rng.integers(0, rng.integers(1, 5), n)
         order, b = suffix.suffix_array(s), bytes(s.tolist())
         assert order.tolist() == sorted(range(n), key=lambda i: b[i:])
-        common = suffix.common_prefixes(s, order, 20)
+        common = suffix.common_prefixes(s.astype(np.uint8) if n % 2 else s, order, n - np.arange(n))
         for k in range(1, n):
             x, y, m = b[order[k] :], b[order[k - 1] :], 0
-            while m < min(len(x), len(y), 20) and x[m] == y[m]:
+            while m < min(len(x), len(y)) and x[m] == y[m]:
                 m += 1
             assert common[order[k]] == m
 
 
+def test_suffix_array_of_many_names():
+    rng = np.random.default_rng(4)
+    some = rng.integers(97, 123, 30_000).astype(np.uint8)
+    for s in (some, np.concatenate((some[:9000], some[:9000], some)), np.full(5000, 97, np.uint8), np.tile(some[:7], 1500)):
+        b = s.tobytes()
+        assert suffix.suffix_array(s).tolist() == sorted(range(len(b)), key=lambda i: b[i:])
+
+
 def covered(texts, length):
     seen = Counter(t[i : i + length] for t in texts for i in range(len(t) - length + 1))
     out = []
