@@ -11,8 +11,8 @@ suffixes of a letter that are ready are taken together, their predecessors dealt
 to the letters they begin with, and those that stay with the letter form the next wave; it
 touches each place once. Strings of names have nearly as many letters as places; there a
 suffix's rank follows from its letter and the rank of the suffix after it, and runs of such
-steps are halved until each ends at a suffix that is known, which takes as many sorts as the
-longest run has binary digits.
+steps are halved until each ends at a suffix that is known. That takes as many sorts as the
+longest run has binary digits, each of those places only that are not yet told apart.
 
 Common prefixes are found in text order: where a suffix and its neighbour in the order are
 preceded by the same letter, the value is that of the place before less one. Only the other
@@ -23,8 +23,8 @@ from __future__ import annotations
 
 import numpy as np
 
-#: Letters up to which a round goes letter by letter.
-FEW = 1024
+#: Letters up to which a round goes letter by letter, and places there must be for each.
+FEW, LEAST_EACH = 1024, 32
 
 
 def small_suffixes(t: np.ndarray) -> np.ndarray:
@@ -136,14 +136,31 @@ def dense(key: np.ndarray) -> np.ndarray:
 
 
 def chained(key: np.ndarray, hop: np.ndarray) -> np.ndarray:
-    """Ranks of the sequences of keys met from each node on; a sequence ends at a node that hops to itself."""
-    rank, on = dense(key), hop != np.arange(len(hop))
-    while on.any():
-        rank = dense(rank * np.int64(len(rank) + 1) + np.where(on, rank[hop] + 1, 0))
-        further = hop[hop]
-        if (further == hop).all():  # all ends are in the ranks
-            break
-        hop = further
+    """Ranks of the sequences of keys met from each node on; a sequence ends at a node that hops to itself.
+
+    Nodes hop to different nodes unless these are ends, and an end's key is no other node's. Equal
+    sequences have equal ranks. Only nodes that share a rank are sorted again.
+    """
+    n = len(key)
+    order = np.argsort(key)
+    own = key[order]
+    new = np.concatenate(([True], own[1:] != own[:-1]))
+    rank, hop = np.empty(n, np.int64), hop.copy()
+    rank[order] = np.maximum.accumulate(np.where(new, np.arange(n), 0))
+    left = order[~new | np.append(~new[1:], False)]
+    left = left[hop[left] != left]
+    while len(left):
+        group, to = rank[left], hop[left]
+        pair = group * np.int64(n) + rank[to]
+        order = np.argsort(pair)
+        left, group, to, pair = left[order], group[order], to[order], pair[order]
+        at = np.arange(len(left))
+        new = np.concatenate(([True], pair[1:] != pair[:-1]))
+        begins = np.concatenate(([True], group[1:] != group[:-1]))
+        rank[left] = group + np.maximum.accumulate(np.where(new, at, 0)) - np.maximum.accumulate(np.where(begins, at, 0))
+        on = (~new | np.append(~new[1:], False)) & (hop[to] != to)
+        left = left[on]
+        hop[left] = hop[to[on]]
     return rank
 
 
@@ -169,8 +186,8 @@ def _sorted_with_sentinel(t: np.ndarray) -> np.ndarray:
         return np.arange(n - 1, -1, -1)
     small = small_suffixes(t)
     seeds = np.flatnonzero(small[1:] & ~small[:-1]) + 1
-    few = int(t.max()) < FEW
     letters = int(t.max()) + 1
+    few = letters <= FEW and letters * LEAST_EACH <= n
     name = np.full(n, -1, np.int64)
     if few:
         leftmost = np.zeros(n, np.bool_)

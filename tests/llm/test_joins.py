@@ -15,6 +15,7 @@ from probejoin.llm import components, jaccard, suffix, sufdedup, vectorjoin
 def test_suffix_arrays(monkeypatch, few):
     """With few letters and, from few = 3 or 1 on, by chains as strings of names are sorted."""
     monkeypatch.setattr(suffix, "FEW", few)
+    monkeypatch.setattr(suffix, "LEAST_EACH", 0)
     rng = np.random.default_rng(1)
     for _ in range(150):
         n = int(rng.integers(2, 60))
