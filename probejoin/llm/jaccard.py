@@ -13,15 +13,16 @@ small sets, whose exact segments would mostly be empty, exact segments for the r
 
 Equal sets are one vertex. Candidate pairs are first held against the sizes and the parities
 of shingles by hash range (those that differ are at most as many as the differences), then
-verified on the whole sets. A group of equal signatures with more than `few` members is
-not expanded: each member is compared with some leaders of its large groups, and only pairs
-that are still in different components after that are compared, in tiles, by parities first.
+verified on the whole sets: one pair of each set first, then only pairs whose sets are in
+different components by then, and of those one link of a set to a component is enough. A group
+of equal signatures with more than `few` members is not expanded: each member is compared with
+some leaders of its large groups, and only pairs that are still in different components after
+that are compared, in tiles, by parities first.
 
 Shingles are 64-bit hashes of words' hashes; two that clash would be one. Everything else is
 exact: no partner or group is dropped.
 
-The result is components only: in groups of over six sets the links made join each component
-but are not all links, so no number of links and no list of all pairs can be had from them.
+The result is components only: the links made join each component but are not all links, so no number of links and no list of all pairs can be had from them.
 
 Rows: a text without words is an empty set, linked with nothing; with fewer words than a
 shingle the whole sequence is its only shingle; null text is no words; ids may repeat or be
@@ -315,38 +316,42 @@ class ShingleJoin:
         return written(rows.groupBy("bucket").applyInArrow(run, "u long, v long, g long"), "groups")
 
     def near(self, pairs: DataFrame, sets: DataFrame) -> DataFrame:
-        """Pairs (u, v) that sizes and parities by hash range allow."""
+        """Pairs (u, v, label) that sizes and parities by hash range allow."""
         percent = self.j.percent
         a = sets.select(F.col("v").alias("u"), F.col("n").alias("un"), F.col("blob").alias("ub"))
         b = sets.select("v", F.col("n").alias("vn"), F.col("blob").alias("vb"))
-        joined = pairs.join(a, "u").join(b, "v").where(f"100 * least(un, vn) >= {percent} * greatest(un, vn)").select("u", "v", "un", "vn", "ub", "vb")
+        joined = pairs.join(a, "u").join(b, "v").where(f"100 * least(un, vn) >= {percent} * greatest(un, vn)").select("u", "v", "un", "vn", "ub", "vb", "label")
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 n, m = batch.column(2).to_pylist(), batch.column(3).to_pylist()
                 keep = [not far_apart(x.as_buffer(), y.as_buffer(), p, q, percent) for x, y, p, q in zip(batch.column(4), batch.column(5), n, m, strict=True)]
-                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], ["u", "v"]).filter(pa.array(keep, pa.bool_()))
+                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(6)], ["u", "v", "label"]).filter(pa.array(keep, pa.bool_()))
 
-        return joined.mapInArrow(run, "u long, v long")
+        return joined.mapInArrow(run, "u long, v long, label long")
 
     def verified(self, pairs: DataFrame) -> DataFrame:
-        """Those of the pairs (u, v) whose sets are similar. The set of v travels to u, that of a u with very many v to several tasks."""
+        """Links among the pairs (u, v, label), where label is the component v is known to be in.
+
+        The set of v travels to u, that of a u with very many v to several tasks. One link of u to a
+        component joins all of it: a task stops at the first, so that links do not grow with the pairs.
+        """
         j, salts = self.j, 16
         pairs = written(pairs, "pairs")
         salt = F.pmod(F.xxhash64("v"), F.lit(salts)).cast("int")
-        asked = pairs.select(F.col("v").alias("x"), F.col("u").alias("to"), salt.alias("salt"), F.lit(False).alias("own"))
-        homes = pairs.select(F.col("u").alias("x"), F.col("u").alias("to"), salt.alias("salt"), F.lit(True).alias("own")).distinct()
+        asked = pairs.select(F.col("v").alias("x"), F.col("u").alias("to"), salt.alias("salt"), F.lit(False).alias("own"), "label")
+        homes = pairs.select(F.col("u").alias("x"), F.col("u").alias("to"), salt.alias("salt"), F.lit(True).alias("own"), F.lit(None).cast("long").alias("label")).distinct()
         wanted = asked.unionByName(homes).withColumn("block", F.shiftright("x", 32).cast("int"))
 
         def ship(left: pa.Table, right: pa.Table) -> pa.Table:
-            kinds = [("to", pa.int64()), ("salt", pa.int32()), ("x", pa.int64()), ("own", pa.bool_()), ("blob", pa.binary())]
+            kinds = [("to", pa.int64()), ("salt", pa.int32()), ("x", pa.int64()), ("own", pa.bool_()), ("label", pa.int64()), ("blob", pa.binary())]
             if not left.num_rows or not right.num_rows:
                 return _table([], kinds)
             _, texts = texts_of(left["blob"].to_pylist())
             need = sorted({x & 0xFFFFFFFF for x in right["x"].to_pylist()})
             value, start = sets_of([texts[k] for k in need], j.words)
             blob = {k: packed(np.diff(value[start[i] : start[i + 1]], prepend=np.uint64(0))) for i, k in enumerate(need)}
-            return right.select(["to", "salt", "x", "own"]).append_column("blob", pa.array([blob[x & 0xFFFFFFFF] for x in right["x"].to_pylist()], pa.binary()))
+            return right.select(["to", "salt", "x", "own", "label"]).append_column("blob", pa.array([blob[x & 0xFFFFFFFF] for x in right["x"].to_pylist()], pa.binary()))
 
         def compare(table: pa.Table) -> pa.Table:
             own = table["own"].to_pylist()
@@ -354,9 +359,9 @@ class ShingleJoin:
             read = lambda b: np.cumsum(unpacked(b, np.uint64), dtype=np.uint64)
             blobs = table["blob"]
             mine = read(blobs[own.index(True)].as_py())
-            keep = []
-            for k, (x, is_own) in enumerate(zip(table["x"].to_pylist(), own, strict=True)):
-                if is_own:
+            keep, joined = [], set()
+            for k, (x, label, is_own) in enumerate(zip(table["x"].to_pylist(), table["label"].to_pylist(), own, strict=True)):
+                if is_own or label in joined:
                     continue
                 other = read(blobs[k].as_py())
                 at = np.searchsorted(mine, other)
@@ -364,9 +369,10 @@ class ShingleJoin:
                 shared = int((mine[at] == other).sum())
                 if 100 * shared >= j.percent * (len(mine) + len(other) - shared):
                     keep.append(x)
+                    joined.add(label)
             return pa.table({"u": pa.array([to] * len(keep), pa.int64()), "v": pa.array(keep, pa.int64())})
 
-        shipped = self.parts.groupBy("block").cogroup(wanted.groupBy("block")).applyInArrow(ship, "to long, salt int, x long, own boolean, blob binary")
+        shipped = self.parts.groupBy("block").cogroup(wanted.groupBy("block")).applyInArrow(ship, "to long, salt int, x long, own boolean, label long, blob binary")
         return written(shipped.groupBy("to", "salt").applyInArrow(compare, "u long, v long"), "links")
 
     def rest(self, groups: DataFrame, labels: DataFrame, sets: DataFrame) -> DataFrame:
@@ -375,7 +381,7 @@ class ShingleJoin:
         spread = members.groupBy("g").agg(F.min("label").alias("a"), F.max("label").alias("b"), F.count("*").alias("size")).where("a < b").select("g", "size")
         own = written(members.join(spread, "g").join(sets.select("v", "n", "blob"), "v"), "rest")
         if own.isEmpty():
-            return own.select(F.col("v").alias("u"), "v")
+            return own.select(F.col("v").alias("u"), "v", "label")
         tile = 1024
         tiles = F.ceil(F.col("size") / tile).cast("int")
         t = F.pmod(F.xxhash64("v"), tiles).cast("int")
@@ -386,7 +392,7 @@ class ShingleJoin:
             i, k = table["i"][0].as_py(), table["k"][0].as_py()
             v, label, n, at = (table[c].to_numpy() for c in ("v", "label", "n", "tile"))
             blobs = table["blob"].to_pylist()
-            us, vs = [], []
+            us, vs, ls = [], [], []
             words = min(len(b) for b in blobs) // 8
             odd = np.stack([folded(np.frombuffer(b, np.uint64), words) for b in blobs])
             for a in range(len(v)):
@@ -396,10 +402,18 @@ class ShingleJoin:
                 b = b[~apart]
                 us.append(np.full(len(b), v[a]))
                 vs.append(v[b])
-            return pa.table({"u": pa.array(np.concatenate(us), pa.int64()), "v": pa.array(np.concatenate(vs), pa.int64())})
+                ls.append(label[b])
+            return pa.table({"u": pa.array(np.concatenate(us), pa.int64()), "v": pa.array(np.concatenate(vs), pa.int64()), "label": pa.array(np.concatenate(ls), pa.int64())})
 
         flat = dealt.select("g", F.col("cell.i").alias("i"), F.col("cell.k").alias("k"), "v", "label", "n", "tile", "blob")
-        return flat.groupBy("g", "i", "k").applyInArrow(run, "u long, v long").distinct()
+        return flat.groupBy("g", "i", "k").applyInArrow(run, "u long, v long, label long").distinct()
+
+    def apart(self, pairs: DataFrame, labels: DataFrame) -> DataFrame:
+        """Pairs (u, v, label of v) that are not in one component."""
+        of_u = labels.select(F.col("v").alias("u"), F.col("label").alias("at_u"))
+        of_v = labels.select("v", F.col("label").alias("at_v"))
+        label = F.coalesce("at_v", "v")
+        return pairs.join(of_u, "u", "left").join(of_v, "v", "left").where(F.coalesce("at_u", "u") != label).select("u", "v", label.alias("label"))
 
     def links(self) -> tuple[DataFrame, DataFrame, DataFrame]:
         """Sizes of all documents, vertices of their digests, and links between vertices that join every component."""
@@ -413,11 +427,14 @@ class ShingleJoin:
         # the leaders with which a member shares most groups join what is close; the rest is compared below
         shares = large.groupBy("v", "u").agg(F.count("*").alias("c")).groupBy("v").agg(F.sort_array(F.collect_list(F.struct("c", "u")), asc=False).alias("best"))
         leaders = shares.select(F.explode(F.slice("best", 1, j.leaders)).alias("best"), "v").select("best.u", "v")
-        pairs = groups.where("g is null").select("u", "v").unionByName(leaders).distinct()
-        found = self.verified(self.near(pairs, sets))
+        pairs = written(groups.where("g is null").select("u", "v").unionByName(leaders).distinct(), "candidates")
+        # one pair of each set first; then only what these links did not join
+        first = pairs.groupBy("v").agg(F.min("u").alias("u")).select("u", "v", F.col("v").alias("label"))
+        found = self.verified(self.near(first, sets))
+        others = self.apart(pairs.join(first, ["u", "v"], "left_anti"), components(found))
+        found = found.unionByName(self.verified(self.near(others, sets)))
         if not groups.where("g is not null").isEmpty():
-            labels = components(found)
-            rest = written(self.near(self.rest(groups, labels, sets).join(pairs, ["u", "v"], "left_anti"), sets), "left")
+            rest = written(self.near(self.rest(groups, components(found), sets).join(pairs, ["u", "v"], "left_anti"), sets), "left")
             if not rest.isEmpty():
                 found = found.unionByName(self.verified(rest))
         return sizes, index.where("kind = 'set'").select("v", "d1", "d2"), found
