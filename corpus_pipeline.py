@@ -13,33 +13,50 @@ from probejoin.llm.common import shared_folder, table
 #: Share of a text's n-grams that its language must hold, against the share expected of unseen rows of that language;
 #: below it none stands out, however many languages there are.
 LEAST_KNOWN = 0.4
-
-
 #: Words of a passage that must not occur twice: passages of over 50 words go.
 PASSAGE_WORDS = 51
+#: Bytes of text that a task of that stage holds at a time, for tables up to about a gigabyte.
+PASSAGE_BLOCK = 2 << 20
+
+
+def _plain(docs: DataFrame) -> tuple[DataFrame, dict[str, str]]:
+    """docs under names that clash with none an operator adds, and the new name of each column."""
+    plain = docs.toDF(*[f"c{k}" for k in range(len(docs.columns))])
+    return plain, dict(zip(docs.columns, plain.columns, strict=True))
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose text has a language; those without letters or without a language that stands out go."""
-    model = langid.train(langid.training_rows(docs))
-    kept = langid.predict(docs, model, keep=True).where((F.col("lang_pred") != langid.UNDECIDED) & (F.col("known") >= LEAST_KNOWN))
-    return kept.select(*docs.columns)
+    plain, name = _plain(docs)
+    model = langid.train(langid.training_rows(plain, name["doc_id"]), name["text"], name["lang"])
+    found = langid.predict(plain, model, name["doc_id"], name["text"], keep=True)
+    kept = found.where((F.col("lang_pred") != langid.UNDECIDED) & (F.col("known") >= LEAST_KNOWN))
+    return kept.select(*plain.columns).toDF(*docs.columns)
 
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near copies: the one of the smallest id. Rows that repeat that id and text stay one."""
-    found = jaccard.join(docs)
-    kept = found.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select("doc_id").distinct()
-    return docs.join(kept.select(F.col("doc_id").alias("kept_id")), F.col("doc_id").eqNullSafe(F.col("kept_id")), "left_semi").withColumn("h", F.xxhash64("text")).dropDuplicates(["doc_id", "h"]).drop("h")
+    plain, name = _plain(docs)
+    doc_id, text = name["doc_id"], name["text"]
+    found = jaccard.join(plain, doc_id, text)
+    kept = found.where(F.col(doc_id).eqNullSafe(F.col("component_id"))).select(F.col(doc_id).alias("kept_id")).distinct()
+    rows = plain.join(kept, F.col(doc_id).eqNullSafe(F.col("kept_id")), "left_semi").withColumn("h", F.xxhash64(text))
+    return rows.dropDuplicates([doc_id, "h"]).drop("h").toDF(*docs.columns)
 
 
 def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Texts without passages of over 50 words, however few their bytes, and byte strings of 400, however few their words, that occur elsewhere.
 
-    A text of which nothing is left goes. n_chars follows the text.
+    A text of which nothing is left goes. n_chars follows the text, other columns stay.
     """
-    cut = sufdedup.repeats(docs.select(F.struct("doc_id", "lang", "source").alias("row"), "text"), "row", "text", texts=True, words=PASSAGE_WORDS)
-    return _decoded(cut).select("row.doc_id", "text", "row.lang", "row.source", F.char_length("text").cast("long").alias("n_chars")).where("n_chars > 0").select(*docs.columns)
+    plain, name = _plain(docs)
+    rest = [c for c in plain.columns if c not in (name["text"], name["n_chars"])]
+    rows = plain.select(F.struct(*rest).alias("row"), F.col(name["text"]).alias("text"))
+    cut = sufdedup.repeats(rows, "row", "text", block_bytes=PASSAGE_BLOCK, texts=True, words=PASSAGE_WORDS)
+    length = F.char_length("text").cast(docs.schema["n_chars"].dataType)
+    got = {name["text"]: F.col("text"), name["n_chars"]: length}
+    kept = _decoded(cut).where(F.char_length("text") > 0)
+    return kept.select(*[got.get(c, F.col(f"row.{c}")).alias(c) for c in plain.columns]).toDF(*docs.columns)
 
 
 def _decoded(cut: DataFrame) -> DataFrame:
