@@ -23,6 +23,23 @@ def test_stages(spark):
     assert {r["doc_id"] for r in kept.collect()} == {1, 5}
 
 
+def test_stages_keep_extra_columns(spark):
+    """Columns whose names the operators use themselves pass through; repeated rows, nulls and empty texts crash nothing."""
+    rows = [(1, "the cat and the dog sat on the mat with a hat"), (1, "the cat and the dog sat on the mat with a hat"), (None, "the dog of the cat sat under a hat on that mat"), (4, ""), (5, None)]
+    docs = spark.createDataFrame(
+        [(i, t, "en", "s", len(t or ""), "L", 0.5, 7, [1], i, "r") for i, t in rows],
+        "doc_id long, text string, lang string, source string, n_chars long, lang_pred string, score double, h long, known array<int>, kept_id long, row string",
+    )
+    kept = docs
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        kept = stage(spark, kept, "/root/testdata/sf0.001").cache()
+        assert kept.columns == docs.columns, name
+    assert sorted((r["doc_id"] or 0, r["lang_pred"], r["h"], r["known"], r["kept_id"], r["row"]) for r in kept.collect()) == [(0, "L", 7, [1], None, "r"), (1, "L", 7, [1], 1, "r")]
+    for _, stage in corpus_pipeline.STAGES[:-1]:
+        empty = stage(spark, docs.limit(0), "/root/testdata/sf0.001")
+        assert empty.columns == docs.columns and empty.count() == 0
+
+
 def test_run(spark):
     sf = "/root/testdata/sf0.001"
     got = corpus_pipeline.run(spark, sf)
