@@ -42,7 +42,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from probejoin.llm.blocks import blocked, blocks_of, packed, texts_of, unpacked
-from probejoin.llm.common import mix64, shared_folder, written
+from probejoin.llm.common import mix64, only, shared_folder, written
 from probejoin.llm.components import components
 from probejoin.llm.ngramlm import tokens
 
@@ -225,7 +225,7 @@ class ShingleJoin:
     def __init__(self, docs: DataFrame, id_col: str, text_col: str, j: Join, block_bytes: int):
         self.docs, self.id_col, self.text_col, self.j = docs, id_col, text_col, j
         self.n = blocks_of(docs, text_col, block_bytes)
-        self.parts = blocked(docs, id_col, text_col, self.n)
+        self.parts = written(blocked(docs, id_col, text_col, self.n), "blocks")  # read by each pass over the texts
         self.spark = docs.sparkSession
 
     def sizes(self) -> DataFrame:
@@ -283,6 +283,7 @@ class ShingleJoin:
         few = self.j.few
 
         def run(table: pa.Table) -> pa.Table:
+            only("")
             bucket = table["bucket"][0].as_py()
             table = table.sort_by("block")
             sig = [np.cumsum(unpacked(x, np.uint32), dtype=np.uint32) for x in table["blob"].to_pylist()]
@@ -338,6 +339,8 @@ class ShingleJoin:
         """
         j, salts = self.j, 16
         pairs = written(pairs, "pairs")
+        if pairs.isEmpty():
+            return pairs.select("u", "v")
         salt = F.pmod(F.xxhash64("v"), F.lit(salts)).cast("int")
         asked = pairs.select(F.col("v").alias("x"), F.col("u").alias("to"), salt.alias("salt"), F.lit(False).alias("own"), "label")
         homes = pairs.select(F.col("u").alias("x"), F.col("u").alias("to"), salt.alias("salt"), F.lit(True).alias("own"), F.lit(None).cast("long").alias("label")).distinct()
@@ -440,7 +443,7 @@ class ShingleJoin:
         return sizes, index.where("kind = 'set'").select("v", "d1", "d2"), found
 
 
-def join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, percent: int = 80, block_bytes: int = 8 << 20) -> DataFrame:
+def join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, percent: int = 80, block_bytes: int = 3 << 20) -> DataFrame:
     """Per row: id_col, n_shingles, component_id (smallest id reachable by links)."""
     run = ShingleJoin(docs, id_col, text_col, Join(words, percent), block_bytes)
     sizes, vertices, links = run.links()
