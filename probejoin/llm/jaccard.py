@@ -13,7 +13,7 @@ small sets, whose exact segments would mostly be empty, exact segments for the r
 
 Equal sets are one vertex. Candidate pairs are first held against the sizes and the parities
 of shingles by hash range (those that differ are at most as many as the differences), then
-verified on the whole sets: one pair of each set first, then only pairs whose sets are in
+verified on the whole sets: each set with its nearest by parities first, then only pairs whose sets are in
 different components by then, and of those one link of a set to a component is enough. A group
 of equal signatures with more than `few` members is not expanded: each member is compared with
 some leaders of its large groups, and only pairs that are still in different components after
@@ -198,11 +198,21 @@ def _table(rows: list[tuple], kinds: list[tuple]) -> pa.Table:
     return pa.table({name: pa.array([r[k] for r in rows], kind) for k, (name, kind) in enumerate(kinds)})
 
 
-def far_apart(a: bytes, b: bytes, n: int, m: int, percent: int) -> bool:
-    """Whether the parities differ in more ranges than similar sets do in shingles."""
+def differing(a: bytes, b: bytes) -> int:
+    """Ranges in which two sets' parities differ."""
     x, y = np.frombuffer(a, np.uint64), np.frombuffer(b, np.uint64)
     words = min(len(x), len(y))
-    return int(np.bitwise_count(folded(x, words) ^ folded(y, words)).sum()) * (100 + percent) > (100 - percent) * (n + m)
+    return int(np.bitwise_count(folded(x, words) ^ folded(y, words)).sum())
+
+
+def too_many(different: int, n: int, m: int, percent: int) -> bool:
+    """Whether more ranges differ than similar sets of n and m do in shingles."""
+    return different * (100 + percent) > (100 - percent) * (n + m)
+
+
+def far_apart(a: bytes, b: bytes, n: int, m: int, percent: int) -> bool:
+    """Whether the parities differ in more ranges than similar sets do in shingles."""
+    return too_many(differing(a, b), n, m, percent)
 
 
 def places(table: pa.Table, chosen: pa.Table, words: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -317,7 +327,7 @@ class ShingleJoin:
         return written(rows.groupBy("bucket").applyInArrow(run, "u long, v long, g long"), "groups")
 
     def near(self, pairs: DataFrame, sets: DataFrame) -> DataFrame:
-        """Pairs (u, v, label) that sizes and parities by hash range allow."""
+        """Pairs (u, v, label) that sizes and parities by hash range allow, and far, the share that differs by these."""
         percent = self.j.percent
         a = sets.select(F.col("v").alias("u"), F.col("n").alias("un"), F.col("blob").alias("ub"))
         b = sets.select("v", F.col("n").alias("vn"), F.col("blob").alias("vb"))
@@ -326,10 +336,12 @@ class ShingleJoin:
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 n, m = batch.column(2).to_pylist(), batch.column(3).to_pylist()
-                keep = [not far_apart(x.as_buffer(), y.as_buffer(), p, q, percent) for x, y, p, q in zip(batch.column(4), batch.column(5), n, m, strict=True)]
-                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(6)], ["u", "v", "label"]).filter(pa.array(keep, pa.bool_()))
+                got = [differing(x.as_buffer(), y.as_buffer()) for x, y in zip(batch.column(4), batch.column(5), strict=True)]
+                keep = [not too_many(d, p, q, percent) for d, p, q in zip(got, n, m, strict=True)]
+                far = pa.array([d / (p + q) for d, p, q in zip(got, n, m, strict=True)], pa.float64())
+                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(6), far], ["u", "v", "label", "far"]).filter(pa.array(keep, pa.bool_()))
 
-        return joined.mapInArrow(run, "u long, v long, label long")
+        return joined.mapInArrow(run, "u long, v long, label long, far double")
 
     def verified(self, pairs: DataFrame) -> DataFrame:
         """Links among the pairs (u, v, label), where label is the component v is known to be in.
@@ -431,11 +443,12 @@ class ShingleJoin:
         shares = large.groupBy("v", "u").agg(F.count("*").alias("c")).groupBy("v").agg(F.sort_array(F.collect_list(F.struct("c", "u")), asc=False).alias("best"))
         leaders = shares.select(F.explode(F.slice("best", 1, j.leaders)).alias("best"), "v").select("best.u", "v")
         pairs = written(groups.where("g is null").select("u", "v").unionByName(leaders).distinct(), "candidates")
-        # one pair of each set first; then only what these links did not join
-        first = pairs.groupBy("v").agg(F.min("u").alias("u")).select("u", "v", F.col("v").alias("label"))
-        found = self.verified(self.near(first, sets))
-        others = self.apart(pairs.join(first, ["u", "v"], "left_anti"), components(found))
-        found = found.unionByName(self.verified(self.near(others, sets)))
+        near = written(self.near(pairs.withColumn("label", F.col("v")), sets), "near")
+        # the nearest partner of each set first; then only what these links did not join
+        first = near.groupBy("v").agg(F.min(F.struct("far", "u")).alias("best")).select("best.u", "v", F.col("v").alias("label"))
+        found = self.verified(first)
+        others = self.apart(near.select("u", "v").join(first, ["u", "v"], "left_anti"), components(found))
+        found = found.unionByName(self.verified(others))
         if not groups.where("g is not null").isEmpty():
             rest = written(self.near(self.rest(groups, components(found), sets).join(pairs, ["u", "v"], "left_anti"), sets), "left")
             if not rest.isEmpty():
