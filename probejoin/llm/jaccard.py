@@ -16,8 +16,11 @@ of shingles by hash range (those that differ are at most as many as the differen
 verified on the whole sets: one pair of each set first, then only pairs whose sets are in
 different components by then, and of those one link of a set to a component is enough. A group
 of equal signatures with more than `few` members is not expanded: each member is compared with
-some leaders of its large groups, and only pairs that are still in different components after
-that are compared, in tiles, by parities first.
+some leaders of its large groups, which are members drawn by hash, so that a passage that very
+many sets hold does not give all its groups one leader. Groups that are still in several
+components then draw new leaders, and each member is compared with the nearest of another
+component by parities, until such a round joins little. All pairs that are in different
+components even then are compared, in tiles, by parities first.
 
 Shingles are 64-bit hashes of words' hashes; two that clash would be one. Everything else is
 exact: no partner or group is dropped.
@@ -198,11 +201,21 @@ def _table(rows: list[tuple], kinds: list[tuple]) -> pa.Table:
     return pa.table({name: pa.array([r[k] for r in rows], kind) for k, (name, kind) in enumerate(kinds)})
 
 
-def far_apart(a: bytes, b: bytes, n: int, m: int, percent: int) -> bool:
-    """Whether the parities differ in more ranges than similar sets do in shingles."""
+def differing(a: bytes, b: bytes) -> int:
+    """Ranges in which two sets' parities differ."""
     x, y = np.frombuffer(a, np.uint64), np.frombuffer(b, np.uint64)
     words = min(len(x), len(y))
-    return int(np.bitwise_count(folded(x, words) ^ folded(y, words)).sum()) * (100 + percent) > (100 - percent) * (n + m)
+    return int(np.bitwise_count(folded(x, words) ^ folded(y, words)).sum())
+
+
+def too_many(different: int, n: int, m: int, percent: int) -> bool:
+    """Whether more ranges differ than similar sets of n and m do in shingles."""
+    return different * (100 + percent) > (100 - percent) * (n + m)
+
+
+def far_apart(a: bytes, b: bytes, n: int, m: int, percent: int) -> bool:
+    """Whether the parities differ in more ranges than similar sets do in shingles."""
+    return too_many(differing(a, b), n, m, percent)
 
 
 def places(table: pa.Table, chosen: pa.Table, words: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -279,7 +292,7 @@ class ShingleJoin:
         return self.spark.read.schema(got.schema).parquet(path)
 
     def grouped(self, index: DataFrame) -> DataFrame:
-        """Rows (u, v, g): g null for a candidate pair; else v is a member of the large group g whose least member is u."""
+        """Rows (u, v, g): g null for a candidate pair; else v is a member of the large group g and u the member drawn as its leader."""
         few = self.j.few
 
         def run(table: pa.Table) -> pa.Table:
@@ -302,7 +315,8 @@ class ShingleJoin:
                         vs.append(d[f + b])
             big = np.flatnonzero(size > few)
             member = np.repeat(size > few, size)
-            leader = np.repeat(d[first], size)
+            drawn = first + (mix64(s[first].astype(np.uint64) + np.uint64(bucket) * ODD) % size.astype(np.uint64)).astype(np.int64)
+            leader = np.repeat(d[drawn], size)
             u, v = (np.concatenate(x) if x else np.empty(0, np.int64) for x in (us, vs))
             o = np.lexsort((v, u))
             u, v = u[o], v[o]
@@ -317,7 +331,7 @@ class ShingleJoin:
         return written(rows.groupBy("bucket").applyInArrow(run, "u long, v long, g long"), "groups")
 
     def near(self, pairs: DataFrame, sets: DataFrame) -> DataFrame:
-        """Pairs (u, v, label) that sizes and parities by hash range allow."""
+        """Pairs (u, v, label) that sizes and parities by hash range allow, and far, the share of shingles that differ by these."""
         percent = self.j.percent
         a = sets.select(F.col("v").alias("u"), F.col("n").alias("un"), F.col("blob").alias("ub"))
         b = sets.select("v", F.col("n").alias("vn"), F.col("blob").alias("vb"))
@@ -326,10 +340,12 @@ class ShingleJoin:
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 n, m = batch.column(2).to_pylist(), batch.column(3).to_pylist()
-                keep = [not far_apart(x.as_buffer(), y.as_buffer(), p, q, percent) for x, y, p, q in zip(batch.column(4), batch.column(5), n, m, strict=True)]
-                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(6)], ["u", "v", "label"]).filter(pa.array(keep, pa.bool_()))
+                far = [differing(x.as_buffer(), y.as_buffer()) for x, y in zip(batch.column(4), batch.column(5), strict=True)]
+                keep = [not too_many(d, p, q, percent) for d, p, q in zip(far, n, m, strict=True)]
+                share = [d / (p + q) for d, p, q in zip(far, n, m, strict=True)]
+                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(6), pa.array(share, pa.float64())], ["u", "v", "label", "far"]).filter(pa.array(keep, pa.bool_()))
 
-        return joined.mapInArrow(run, "u long, v long, label long")
+        return joined.mapInArrow(run, "u long, v long, label long, far double")
 
     def verified(self, pairs: DataFrame) -> DataFrame:
         """Links among the pairs (u, v, label), where label is the component v is known to be in.
@@ -338,7 +354,7 @@ class ShingleJoin:
         component joins all of it: a task stops at the first, so that links do not grow with the pairs.
         """
         j, salts = self.j, 16
-        pairs = written(pairs, "pairs")
+        pairs = written(pairs.select("u", "v", "label"), "pairs")
         if pairs.isEmpty():
             return pairs.select("u", "v")
         salt = F.pmod(F.xxhash64("v"), F.lit(salts)).cast("int")
@@ -378,11 +394,23 @@ class ShingleJoin:
         shipped = self.parts.groupBy("block").cogroup(wanted.groupBy("block")).applyInArrow(ship, "to long, salt int, x long, own boolean, label long, blob binary")
         return written(shipped.groupBy("to", "salt").applyInArrow(compare, "u long, v long"), "links")
 
-    def rest(self, groups: DataFrame, labels: DataFrame, sets: DataFrame) -> DataFrame:
+    def spread(self, members: DataFrame, labels: DataFrame) -> DataFrame:
+        """Rows (g, v, label, size) of the groups whose members (g, v) are in different components."""
+        members = members.join(labels, "v", "left").withColumn("label", F.coalesce("label", "v"))
+        several = members.groupBy("g").agg(F.min("label").alias("a"), F.max("label").alias("b"), F.count("*").alias("size")).where("a < b").select("g", "size")
+        return written(members.join(several, "g").select("g", "v", "label", "size"), "spread")
+
+    def round(self, own: DataFrame, sets: DataFrame, k: int) -> DataFrame:
+        """Links of members with the nearest leader of another component, of those drawn for their groups in round k."""
+        drawn = own.groupBy("g").agg(F.min_by(F.struct("v", "label"), F.xxhash64("v", "g", F.lit(k))).alias("leader"))
+        pairs = own.join(drawn, "g").where("label <> leader.label").select(F.col("leader.v").alias("u"), "v", F.col("leader.label").alias("label")).distinct()
+        nearest = self.near(pairs, sets).groupBy("v").agg(F.min(F.struct("far", "u", "label")).alias("best"))
+        # the leader's set is the one that travels, so that a leader of very many has not one task
+        return self.verified(nearest.select(F.col("v").alias("u"), F.col("best.u").alias("v"), F.col("best.label").alias("label")))
+
+    def rest(self, own: DataFrame, sets: DataFrame) -> DataFrame:
         """Pairs of large groups whose members are in different components, allowed by parities; tiles of a group are tasks of their own."""
-        members = groups.where("g is not null").select("g", "v").join(labels, "v", "left").withColumn("label", F.coalesce("label", "v"))
-        spread = members.groupBy("g").agg(F.min("label").alias("a"), F.max("label").alias("b"), F.count("*").alias("size")).where("a < b").select("g", "size")
-        own = written(members.join(spread, "g").join(sets.select("v", "n", "blob"), "v"), "rest")
+        own = written(own.join(sets.select("v", "n", "blob"), "v"), "rest")
         if own.isEmpty():
             return own.select(F.col("v").alias("u"), "v", "label")
         tile = 1024
@@ -436,10 +464,17 @@ class ShingleJoin:
         found = self.verified(self.near(first, sets))
         others = self.apart(pairs.join(first, ["u", "v"], "left_anti"), components(found))
         found = found.unionByName(self.verified(self.near(others, sets)))
-        if not groups.where("g is not null").isEmpty():
-            rest = written(self.near(self.rest(groups, components(found), sets).join(pairs, ["u", "v"], "left_anti"), sets), "left")
-            if not rest.isEmpty():
-                found = found.unionByName(self.verified(rest))
+        members, made = self.spread(groups.where("g is not null").select("g", "v"), components(found)), []
+        while not members.isEmpty():
+            if made and made[-1] * 4 <= made[0]:  # new leaders join little by now: all pairs that are left
+                left = written(self.near(self.rest(members, sets).join(pairs, ["u", "v"], "left_anti"), sets), "left")
+                found = found.unionByName(self.verified(left))
+                break
+            joined = self.round(members, sets, len(made))
+            made.append(joined.count())
+            if made[-1]:
+                found = found.unionByName(joined)
+                members = self.spread(members.select("g", "v"), components(found))
         return sizes, index.where("kind = 'set'").select("v", "d1", "d2"), found
 
 
