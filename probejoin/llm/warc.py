@@ -1,10 +1,10 @@
 """Content-addressed WARC archive.
 
-Three tables: `payloads` holds each distinct payload once under its SHA-256, `records` holds
+Two tables: `payloads` holds each distinct payload once under its SHA-256, `records` holds
 every record's exact header bytes and that address.
 Reading joins them again: the digest of each stored payload is recomputed and must be its
-address, the record is put together byte by byte, its header is parsed and its block digest
-compared. Of records with equal payloads (of at least `revisit_from` bytes) the one with the
+address, the record is put together byte by byte, its header is parsed and its payload digest
+compared. A record whose payload is gone or not what its digest says is read as not verified. Of records with equal payloads (of at least `revisit_from` bytes) the one with the
 smallest id is a response, the others revisit it and carry no block.
 
 Digests and headers are SQL expressions; no Python runs on executors. The groups of equal
@@ -88,21 +88,23 @@ def read(spark, folder: str) -> DataFrame:
     id_type = records.schema["id"].dataType
     checked = payloads.select("address", "payload", (F.unhex(F.sha2("payload", 256)) == F.col("address")).alias("sound"), F.unhex(F.sha1("payload")).alias("sha1"))
     refers = F.regexp_extract(field("WARC-Refers-To"), "^<urn:record:(.*)>$", 1)
-    return records.join(checked, "address").select(
+    return records.join(checked, "address", "left").select(
         "id",
         field("WARC-Type").alias("record_type"),
         F.when(field("WARC-Type") == "revisit", F.nullif(refers, F.lit("")).cast(id_type)).alias("refers_to"),
         F.regexp_extract(field("WARC-Payload-Digest"), "^sha1:(.*)$", 1).alias("payload_digest"),
         F.octet_length("payload").cast("long").alias("payload_bytes"),
         F.concat("header", F.when(field("WARC-Type") == "response", F.col("payload")).otherwise(F.lit("").cast("binary")), F.lit("\r\n\r\n").cast("binary")).alias("record"),
-        (F.col("sound") & (base32(F.lower(F.hex("sha1"))) == F.regexp_extract(field("WARC-Payload-Digest"), "^sha1:(.*)$", 1))).alias("verified"),
+        F.coalesce(F.col("sound") & (base32(F.lower(F.hex("sha1"))) == F.regexp_extract(field("WARC-Payload-Digest"), "^sha1:(.*)$", 1)), F.lit(False)).alias("verified"),
     )
 
 
 def archive(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", payload_col: str = "html", revisit_from: int = 0) -> DataFrame:
-    """Write, read back, and give the digest columns of every record that was put together."""
+    """Write, read back, and give the digest columns of every record; raises if one is not as it was written."""
     spark = pages.sparkSession
     folder = shared_folder(spark, "warc")
     write(pages, folder, id_col, url_col, payload_col, revisit_from)
-    got = read(spark, folder).where("verified")
-    return got.select(F.col("id").alias(id_col), "payload_bytes", "payload_digest", "record_type", "refers_to")
+    got = read(spark, folder)
+    lost = F.raise_error(F.concat(F.lit("record is not as it was written: "), F.coalesce(F.col("id").cast("string"), F.lit("null"))))
+    size = F.when(F.col("verified"), F.col("payload_bytes")).otherwise(lost.cast("long"))
+    return got.select(F.col("id").alias(id_col), size.alias("payload_bytes"), "payload_digest", "record_type", "refers_to")

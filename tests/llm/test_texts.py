@@ -185,3 +185,14 @@ def test_longest_common_lines():
     a, b = list("axbycz"), list("aqbwcz")
     assert {a[i] for i in htmltext.shared(a, b)} == set("abcz")
     assert htmltext.shared(list("abab"), list("baba")) in ({0, 1, 2}, {1, 2, 3})
+
+
+def test_archive_marks_records_whose_payload_is_gone_or_changed(spark, tmp_path):
+    pages = spark.createDataFrame([(1, "u1", "a"), (2, "u2", "b"), (3, "u3", "c")], "page_id long, url string, html string")
+    folder = shared_folder(spark, "warc")
+    warc.write(pages, folder)
+    other = str(tmp_path / "archive")
+    spark.read.parquet(f"{folder}/records").write.parquet(f"{other}/records")
+    kept = spark.read.parquet(f"{folder}/payloads").where("payload <> cast('a' as binary)")
+    kept.selectExpr("address", "if(payload = cast('b' as binary), cast('x' as binary), payload) as payload").write.parquet(f"{other}/payloads")
+    assert {r["id"]: r["verified"] for r in warc.read(spark, other).collect()} == {1: False, 2: False, 3: True}
