@@ -27,6 +27,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from probejoin.llm.common import written
 from probejoin.llm.components import components
@@ -41,6 +42,7 @@ def _matrix(column: pa.Array, d: int) -> np.ndarray:
 
 
 def _unit(x: np.ndarray) -> np.ndarray:
+    x = np.ldexp(x, -np.frexp(np.abs(x).max(axis=1, initial=0))[1][:, None])  # by a power of two, so that no square overflows or vanishes
     return x / np.sqrt((x * x).sum(axis=1))[:, None]
 
 
@@ -86,6 +88,8 @@ def _joined(reps: DataFrame, d: int, cosine: float, n_blocks: int, slice_rows: i
     budget = part * (2 - 2 * cosine)
     reach = np.sqrt(budget + COARSE)
     firsts = [int(o[0]) for o in owned]
+    # components travel as precise as the column has them
+    kind = np.float32 if reps.schema["vector"].dataType.elementType == T.FloatType() else np.float64
 
     def coordinates(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -107,7 +111,7 @@ def _joined(reps: DataFrame, d: int, cosine: float, n_blocks: int, slice_rows: i
         for batch in batches:
             raw = _matrix(batch.column(2), d)
             x = _unit(raw) @ turn[:, firsts]
-            flat = raw.astype(np.float32)
+            flat = raw.astype(kind)
             for b in range(n_blocks):
                 e, r, c = edges[b], reach[b], x[:, b]
                 home = np.searchsorted(e, c, side="right")
@@ -119,13 +123,13 @@ def _joined(reps: DataFrame, d: int, cosine: float, n_blocks: int, slice_rows: i
                 for at in range(0, len(row), 4096):
                     s = slice(at, at + 4096)
                     w = flat[row[s]]
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(w), b, np.int32)), pa.array(i[s].astype(np.int32)), pa.array(k[s].astype(np.int32)), pa.array(home[row[s]].astype(np.int32)), batch.column(0).take(pa.array(row[s])), batch.column(1).take(pa.array(row[s])), pa.FixedSizeBinaryArray.from_buffers(pa.binary(4 * d), len(w), [None, pa.py_buffer(np.ascontiguousarray(w))]).cast(pa.binary())], ["b", "i", "k", "home", "v", "m", "x"])
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(w), b, np.int32)), pa.array(i[s].astype(np.int32)), pa.array(k[s].astype(np.int32)), pa.array(home[row[s]].astype(np.int32)), batch.column(0).take(pa.array(row[s])), batch.column(1).take(pa.array(row[s])), pa.FixedSizeBinaryArray.from_buffers(pa.binary(w.itemsize * d), len(w), [None, pa.py_buffer(np.ascontiguousarray(w))]).cast(pa.binary())], ["b", "i", "k", "home", "v", "m", "x"])
 
     def tile(table: pa.Table) -> pa.Table:
         turn, owned, budget, _, _ = sent.value
         b, i, k = (table[c][0].as_py() for c in ("b", "i", "k"))
         ids, weight, home = table["v"].to_numpy(), table["m"].to_numpy(), table["home"].to_numpy()
-        raw = np.frombuffer(b"".join(table["x"].to_pylist()), np.float32).reshape(-1, d).astype(np.float64)
+        raw = np.frombuffer(b"".join(table["x"].to_pylist()), kind).reshape(-1, d).astype(np.float64)
         unit = _unit(raw)
         y = (unit @ turn[:, owned[b]]).astype(np.float32)
         square = (y * y).sum(axis=1)
