@@ -218,24 +218,3 @@ def test_vectors_of_an_empty_table_and_repeated_ids(spark):
     rows = [(1, [1.0, 0.0], "a", 1), (1, [1.0, 0.0], "b", 2), (None, [0.0, 1.0], None, None), (2, None, "c", None)]
     got = sorted(map(tuple, vectorjoin.join(spark.createDataFrame(rows, schema)).collect()), key=str)
     assert got == sorted([(1, 1, 1, True), (1, 1, 1, True), (None, 0, None, True), (2, 0, 2, True)], key=str)
-
-
-def test_links_of_large_groups_that_share_a_common_passage(spark):
-    rng = random.Random(11)
-    word = lambda: f"w{rng.randrange(10**6)}"
-    passage, base = [word() for _ in range(70)], [word() for _ in range(90)]
-    texts = []
-    for _ in range(60):  # near copies of one text, some of them too far from each other
-        own = list(base)
-        for _ in range(rng.choice([1, 2, 3])):
-            own[rng.randrange(len(own))] = word()
-        texts.append(" ".join(own))
-    texts += [" ".join(passage + [word() for _ in range(rng.choice([3, 12, 40]))]) for _ in range(60)]
-    rng.shuffle(texts)
-    sets = [{tuple(w[i : i + 5]) for i in range(len(w) - 4)} for w in map(str.split, texts)]
-    label = list(range(len(texts)))
-    for _ in texts:
-        for a, x in enumerate(sets):
-            label[a] = min(label[b] for b, y in enumerate(sets) if 100 * len(x & y) >= 80 * len(x | y))
-    got = {r["doc_id"]: r["component_id"] for r in jaccard.join(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
-    assert got == dict(enumerate(label))
