@@ -44,8 +44,8 @@ def finished(stream: DataFrame, mode: str = "append") -> DataFrame:
 
 
 def window_counts(stream: DataFrame, kind: str) -> DataFrame:
-    """Counts by window and type: tumbling (an hour), sliding (two hours by one) or session (gap of half an hour, by user)."""
-    by = {"tumbling": [F.window("ts", "1 hour").alias("w"), "event_type"], "sliding": [F.window("ts", "2 hours", "1 hour").alias("w"), "event_type"], "session": [F.session_window("ts", "30 minutes").alias("w"), "user_id"]}[kind]
+    """Counts by window and type: tumbling (an hour), sliding (two hours by one) or session (by user, until half an hour passes; events just that far apart are in two sessions)."""
+    by = {"tumbling": [F.window("ts", "1 hour").alias("w"), "event_type"], "sliding": [F.window("ts", "2 hours", "1 hour").alias("w"), "event_type"], "session": [F.session_window("ts", "1799999999 microseconds").alias("w"), "user_id"]}[kind]
     return stream.withWatermark("ts", "1 hour").groupBy(*by).agg(F.count("*").alias("n"))
 
 
