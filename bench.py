@@ -29,7 +29,9 @@ def main() -> None:
     )
     spark.sparkContext.setLogLevel("ERROR")
     began = time.time()
-    core.catalog(spark, sf_dir).stats()
+    idx = core.catalog(spark, sf_dir)
+    idx.table("OI")
+    idx.stats()
     load = time.time() - began
     seconds, moved = {}, {}
     for name in HEADLINE:
