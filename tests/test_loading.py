@@ -42,7 +42,7 @@ def test_groups_of_predicates(monkeypatch):
     assert [p for g in got for p in g] == list(sizes) and got == [("a", "b"), ("c",), ("d", "e")]
 
 
-@pytest.mark.parametrize("name", ["tp_xxx", "six_tp_xxx"])
+@pytest.mark.parametrize("name", ["access_paths", "tp_xxx", "six_tp_xxx"])
 def test_queries_over_tables(spark, name):
     con = duckdb.connect()
     for t in "region nation customer supplier part orders lineitem".split():
