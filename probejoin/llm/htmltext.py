@@ -6,10 +6,12 @@ blocks, the blocks are aligned by a longest common subsequence, and blocks that
 
 Differencing alone can't give the text asked for: of two pages that carry the same article
 it would delete the article, and menus or adverts that differ from page to page would stay
-(README has figures). So elements decide first: what stands in elements or under names that
-mark furniture (menus, headers, footers, sidebars, notices, adverts, forms, comments) goes,
-what stands in the page's article stays. Differencing decides about everything else: a page
-without an article element keeps those of its blocks that its neighbour does not share.
+(README has figures). So every page is differenced, and elements check the outcome: what
+stands in elements or under names that mark furniture (menus, headers, footers, sidebars,
+notices, adverts, forms, comments) goes although no neighbour has it, what stands in the
+page's article stays although a neighbour has it, too. A page without an article element
+keeps those of its blocks that its neighbour does not share. Pages with an article element
+are paired with one another by hashes of their blocks; `n_template` counts a page's shared blocks.
 
 Copies within a host are reduced to the first one and share its answer. What is left is
 numbered in the order of (host, path, id), so a hot host is spread over tasks and a page's
@@ -23,6 +25,7 @@ columns are ignored; an empty table gives an empty result; pages are parsed whol
 
 from __future__ import annotations
 
+import base64
 import hashlib
 import html
 import re
@@ -34,6 +37,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from probejoin.llm.common import lean, written
+from probejoin.sources.storage import tidy
 
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*(?:\"|\Z)|'[^']*(?:'|\Z))*)(?:>|\Z)", re.S)
 _NAMED = re.compile(r"(?:class|id|role|aria-label)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
@@ -185,23 +189,26 @@ def without(lines: list[str], other: list[str]) -> list[str] | None:
 
 
 def _parsed(pages: DataFrame, elements: bool) -> DataFrame:
-    """Rows (id, url, host, path, text, lines, key): text where elements decide, else null; undecided blocks and their hash."""
+    """Rows (id, url, host, path, text, lines, key, marks, mark): text where elements confirm an article, else null; undecided blocks and their hash; hashes of all blocks of a page with an article, and their hash."""
     host = F.lower(F.coalesce(F.regexp_extract("url", r"^[a-zA-Z][a-zA-Z0-9+.-]*://(?:[^/?#@]*@)?([^/?#]*)", 1), F.lit("")))
     path = F.coalesce(F.regexp_extract("url", r"^[a-zA-Z][a-zA-Z0-9+.-]*://[^/?#]*([^?#]*)", 1), F.lit(""))
     keyed = pages.withColumn("host", host).withColumn("path", path).select("id", "url", "host", "path", "html")
-    schema = T.StructType([*keyed.schema.fields[:4], T.StructField("text", T.StringType()), T.StructField("lines", T.ArrayType(T.StringType())), T.StructField("key", T.BinaryType())])
+    schema = T.StructType([*keyed.schema.fields[:4], T.StructField("text", T.StringType()), T.StructField("lines", T.ArrayType(T.StringType())), T.StructField("key", T.BinaryType()), T.StructField("marks", T.ArrayType(T.StringType())), T.StructField("mark", T.BinaryType())])
+    digest = lambda text, size: hashlib.blake2b(text.encode("utf-8", "surrogatepass"), digest_size=size)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts, lines, keys = [], [], []
+            texts, lines, keys, marks, mark = [], [], [], [], []
             for page in batch.column(4):
                 page = page.as_py()
                 own = blocks(page) if page else []
                 top = max((z for _, z in own), default=0) if elements else 0
                 lines.append([t for t, z in own if z == 0 or not elements])
                 texts.append("\n\n".join(t for t, z in own if z == top) if top > 0 else None if lines[-1] else "")
-                keys.append(hashlib.blake2b("\n".join(lines[-1]).encode("utf-8", "surrogatepass"), digest_size=16).digest())
-            yield pa.RecordBatch.from_arrays([*batch.columns[:4], pa.array(texts, pa.string()), pa.array(lines, pa.list_(pa.string())), pa.array(keys, pa.binary())], schema.names)
+                keys.append(digest("\n".join(lines[-1]), 16).digest())
+                marks.append([base64.b64encode(digest(t, 6).digest()).decode() for t, _ in own] if top > 0 else [])
+                mark.append(digest("\n".join(marks[-1]), 16).digest())
+            yield pa.RecordBatch.from_arrays([*batch.columns[:4], pa.array(texts, pa.string()), pa.array(lines, pa.list_(pa.string())), pa.array(keys, pa.binary()), pa.array(marks, pa.list_(pa.string())), pa.array(mark, pa.binary())], schema.names)
 
     return keyed.mapInArrow(run, schema)
 
@@ -221,7 +228,7 @@ def _numbered(rows: DataFrame) -> DataFrame:
 
 
 def _differenced(rows: DataFrame) -> DataFrame:
-    """Rows (host, key, answer) for the distinct pages that elements do not decide."""
+    """Rows (host, key, answer) for the distinct pages without a text yet."""
     every = written(_numbered(rows.where(F.size("lines") > 0)), "pages")
     ends = every.groupBy("host").agg(F.min("at").alias("lo"), F.max("at").alias("hi"))
     left = written(every.where("open").select("host", "key", "lines", "at").join(ends, "host"), "open")
@@ -250,11 +257,17 @@ def _differenced(rows: DataFrame) -> DataFrame:
 
 
 def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", elements: bool = True) -> DataFrame:
-    """Per row: id_col, url_col, text, n_chars. Without elements, differencing alone decides (for comparison)."""
+    """Per row: id_col, url_col, text, n_chars, n_template (blocks that the neighbour shares). Without elements, differencing alone decides (for comparison)."""
     lean(pages.sparkSession)
     rows = written(_parsed(pages.select(F.col(id_col).alias("id"), F.col(url_col).alias("url"), F.col(html_col).alias("html")), elements), "parsed")
-    done, undecided = rows.where("text is not null").select("id", "url", "text"), rows.where("text is null")
+    with tidy(pages.sparkSession):
+        marked = _differenced(rows.where(F.size("marks") > 0).select("id", "host", "path", F.lit(None).cast("string").alias("text"), F.col("marks").alias("lines"), F.col("mark").alias("key")))
+    rest = lambda df: df.withColumn("kept", F.size(F.split("answer", "\n\n")))
+    left = F.coalesce(F.col("n") - F.col("kept"), F.lit(0)).cast("long").alias("n_template")
+    decided = rows.where("text is not null").select("id", "url", "text", "host", "mark", F.size("marks").alias("n"))
+    done = decided.join(rest(marked).select("host", F.col("key").alias("mark"), "kept"), ["host", "mark"], "left").select("id", "url", "text", left)
+    undecided = rows.where("text is null")
     if not undecided.isEmpty():  # a page without a neighbour that tells template from text keeps all its blocks
-        told = undecided.join(_differenced(rows), ["host", "key"], "left")
-        done = done.unionByName(told.select("id", "url", F.coalesce("answer", F.concat_ws("\n\n", "lines")).alias("text")))
-    return done.select(F.col("id").alias(id_col), F.col("url").alias(url_col), "text", F.char_length("text").cast("long").alias("n_chars"))
+        told = undecided.withColumn("n", F.size("lines")).join(rest(_differenced(rows)), ["host", "key"], "left")
+        done = done.unionByName(told.select("id", "url", F.coalesce("answer", F.concat_ws("\n\n", "lines")).alias("text"), left))
+    return done.select(F.col("id").alias(id_col), F.col("url").alias(url_col), "text", F.char_length("text").cast("long").alias("n_chars"), "n_template")

@@ -162,6 +162,14 @@ def test_extraction_by_differences(spark):
     assert {k: v for k, v in got.items() if k < 6} == {k: f"story {k}" for k in range(6)} and got[9] == "Menu\n\nalone\n\nContact"
 
 
+def test_articles_are_differenced(spark):
+    """Pages that elements decide are paired as well: what they share is counted, what the article has stays."""
+    page = lambda *body: "<nav>Menu</nav><article>" + "".join(f"<p>{b}</p>" for b in body) + "</article><footer>Foot</footer>"
+    rows = [(1, "http://a/1", page("same", "one")), (2, "http://a/1?copy", page("same", "one")), (3, "http://a/2", page("same", "two", "three")), (4, "http://b/1", page("same")), (5, "http://b/2", None)]
+    got = {r["page_id"]: (r["text"], r["n_template"]) for r in htmltext.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert got == {1: ("same\n\none", 3), 2: ("same\n\none", 3), 3: ("same\n\ntwo\n\nthree", 3), 4: ("same", 0), 5: ("", 0)}
+
+
 @pytest.mark.parametrize("partitions", [1, 3, 50])
 def test_extraction_past_copies(spark, partitions):
     """Copies and pages that hold all of a page's blocks are passed over, and partitions change nothing."""
