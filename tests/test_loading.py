@@ -51,3 +51,55 @@ def test_queries_over_tables(spark, name):
     assert any("orders.parquet" in f or "index" in f or "copy" in f for f in df.inputFiles())
     cur = con.execute(ORACLES[name])
     assert sorted(map(tuple, df.select(*[c[0] for c in cur.description]).collect())) == sorted(cur.fetchall())
+
+
+def on_demand(spark, name):
+    asked = []
+
+    def source(units):
+        for p, o in units:
+            asked.append((p, o))
+            rows = spark.createDataFrame([t for t in TRIPLES if t[1] == p and o in (None, t[2])] + [("c", p, o or "U")] * 2, "s string, p string, o string")
+            yield 40, rows
+
+    return rowindex.on_demand(spark, source, [("knows",), ("age", "rdf:type")], name, 8), asked
+
+
+def test_units_are_loaded_when_asked_for(spark, monkeypatch):
+    monkeypatch.setattr(rowindex, "GROUP_ROWS", 10)  # in slices
+    idx, asked = on_demand(spark, "units")
+    read = lambda which, wanted=None: sorted((r["p"], r["value"]) for r in idx.table(which, wanted).collect())
+    assert read("SI", [("rdf:type", "T")]) == [("rdf:type", "T")] * 3 and asked == [("rdf:type", "T")]
+    assert read("SI", [("rdf:type", "T")]) == [("rdf:type", "T")] * 3 and len(asked) == 1  # not again
+    assert read("SI", [("age", None), ("rdf:type", "T")]) == [("age", '"7"'), ("age", "U"), *[("rdf:type", "T")] * 3]
+    every = sorted({(s, p, o) for s, p, o in TRIPLES} | {("c", p, "U") for p in ("knows", "age", "rdf:type")} | {("c", "rdf:type", "T")})
+    assert sorted(map(tuple, idx.triples.collect())) == every  # the class that was there before is not there twice
+    assert sorted((r["value"], r["p"], r["o"]) for r in idx.table("OI").collect()) == [t for t in every if t != ("c", "rdf:type", "T")]
+
+
+def test_query_loads_only_its_predicates(spark, tmp_path):
+    """A query of customers wrote all 31 predicates, most of them of line items, before."""
+    import shutil
+
+    shutil.copytree(SF, tmp_path / "sf")
+    QUERIES["w_l4_shuffle"](spark, str(tmp_path / "sf")).count()
+    from probejoin.queries import catalog
+
+    idx = catalog(spark, str(tmp_path / "sf"))
+    held = {r["p"] for r in spark.table(idx.si).select("p").distinct().collect()}
+    assert held == {"rdf:type", "inNation", "name", "acctbal", "segment"} and not spark.catalog.tableExists(idx.oi)
+    QUERIES["hybrid_plan"](spark, str(tmp_path / "sf")).count()
+    assert spark.table(idx.si).where("value = 'LineItem'").isEmpty()
+
+
+def test_what_axioms_add_comes_from():
+    from probejoin.operators import closure
+    from probejoin.sources.triplify import AXIOMS
+
+    given = {"inNation", "inRegion", "placedBy", "name", "rdf:type"}
+    behind = lambda p, c=None: closure.behind(AXIOMS, p, given, c)[0]
+    assert behind("within") == {"inNation", "inRegion"} and behind("placed") == {"placedBy"} and behind("hosts") == {"inNation"}
+    assert behind("placedBy") == behind("name") == behind("inNation") == behind("rdf:type", set()) == set()
+    assert closure.below(AXIOMS, "Party") >= {"Customer", "Supplier", "BuildingCustomer"} and not closure.below(AXIOMS, "LineItem")
+    both_ways = [("q", "subPropertyOf", "p"), ("q", "inverseOf", "p")]
+    assert closure.behind(both_ways, "p", {"p"})[0] == {"p"}  # its own triples turned
