@@ -229,7 +229,7 @@ def _numbered(rows: DataFrame) -> DataFrame:
 
 def _differenced(rows: DataFrame) -> DataFrame:
     """Rows (host, key, answer) for the distinct pages without a text yet."""
-    every = written(_numbered(rows.where(F.size("lines") > 0)), "pages")
+    every = _numbered(rows.where(F.size("lines") > 0))
     ends = every.groupBy("host").agg(F.min("at").alias("lo"), F.max("at").alias("hi"))
     left = written(every.where("open").select("host", "key", "lines", "at").join(ends, "host"), "open")
     near, far, answers = 1, 1, None
@@ -259,15 +259,16 @@ def _differenced(rows: DataFrame) -> DataFrame:
 def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", elements: bool = True) -> DataFrame:
     """Per row: id_col, url_col, text, n_chars, n_template (blocks that the neighbour shares). Without elements, differencing alone decides (for comparison)."""
     lean(pages.sparkSession)
-    rows = written(_parsed(pages.select(F.col(id_col).alias("id"), F.col(url_col).alias("url"), F.col(html_col).alias("html")), elements), "parsed")
+    rows = _parsed(pages.select(F.col(id_col).alias("id"), F.col(url_col).alias("url"), F.col(html_col).alias("html")), elements)
+    # Texts are not kept beside their shuffle: pages are parsed once for marks and once more for texts.
+    marks = written(rows.select("id", "host", "path", "marks", "mark", F.col("text").isNull().alias("open")), "marks")
     with tidy(pages.sparkSession):
-        marked = _differenced(rows.where(F.size("marks") > 0).select("id", "host", "path", F.lit(None).cast("string").alias("text"), F.col("marks").alias("lines"), F.col("mark").alias("key")))
+        marked = _differenced(marks.where(F.size("marks") > 0).select("id", "host", "path", F.lit(None).cast("string").alias("text"), F.col("marks").alias("lines"), F.col("mark").alias("key")))
     rest = lambda df: df.withColumn("kept", F.size(F.split("answer", "\n\n")))
     left = F.coalesce(F.col("n") - F.col("kept"), F.lit(0)).cast("long").alias("n_template")
     decided = rows.where("text is not null").select("id", "url", "text", "host", "mark", F.size("marks").alias("n"))
     done = decided.join(rest(marked).select("host", F.col("key").alias("mark"), "kept"), ["host", "mark"], "left").select("id", "url", "text", left)
-    undecided = rows.where("text is null")
-    if not undecided.isEmpty():  # a page without a neighbour that tells template from text keeps all its blocks
-        told = undecided.withColumn("n", F.size("lines")).join(rest(_differenced(rows)), ["host", "key"], "left")
+    if not marks.where("open").isEmpty():  # a page without a neighbour that tells template from text keeps all its blocks
+        told = rows.where("text is null").withColumn("n", F.size("lines")).join(rest(_differenced(rows)), ["host", "key"], "left")
         done = done.unionByName(told.select("id", "url", F.coalesce("answer", F.concat_ws("\n\n", "lines")).alias("text"), left))
     return done.select(F.col("id").alias(id_col), F.col("url").alias(url_col), "text", F.char_length("text").cast("long").alias("n_chars"), "n_template")

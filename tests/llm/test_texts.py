@@ -155,6 +155,16 @@ def test_hidden_is_an_attribute():
         assert at(gone) == [-1], gone
 
 
+def test_extraction_keeps_no_texts(spark, monkeypatch):
+    """Texts and blocks of pages with an article were written beside their shuffle before."""
+    kept, written = [], htmltext.written
+    monkeypatch.setattr(htmltext, "written", lambda df, what: kept.append((what, df.columns)) or written(df, what))
+    rows = [(k, f"http://h/{k}", f"<nav>Home</nav><article><p>Same line</p><p>Text {k}</p></article>") for k in range(3)]
+    got = {r["page_id"]: (r["text"], r["n_template"]) for r in htmltext.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert got == {k: (f"Same line\n\nText {k}", 2) for k in range(3)}
+    assert ("marks", ["id", "host", "path", "marks", "mark", "open"]) in kept and not any("text" in columns for _, columns in kept)
+
+
 def test_extraction_by_differences(spark):
     page = lambda body: f"<div>Menu</div><div>{body}</div><div>Contact</div>"
     pages = spark.createDataFrame([(k, f"http://a/{k}", page(f"story {k}")) for k in range(6)] + [(9, "http://c/", page("alone"))], "page_id long, url string, html string")
