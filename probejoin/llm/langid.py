@@ -109,6 +109,8 @@ class LanguageFilter:
 
 
 _HIGH = bytes(range(128, 256))
+#: Bytes of a language's training texts that a task counts at a time, at eight bytes and more for each.
+COUNTED_BYTES = 1 << 20
 
 
 def train(rows: DataFrame, text_col: str = "text", lang_col: str = "lang", rows_per_language: int = 3000, share: float = 0.35, least: int = 3, slots_log2: int = 21) -> LanguageFilter:
@@ -128,18 +130,31 @@ def train(rows: DataFrame, text_col: str = "text", lang_col: str = "lang", rows_
     drawn = rows.withColumn("h", F.xxhash64("text")).where((F.pmod("h", F.lit(1 << 30)) / F.lit(float(1 << 30))) < odds[F.col("lang")]).dropDuplicates(["lang", "h"])
     drawn = drawn.withColumn("k", F.row_number().over(Window.partitionBy("lang").orderBy("h"))).where(F.col("k") <= rows_per_language)
 
+    most = COUNTED_BYTES
+
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Counts of a language's texts in parts of about `most` bytes, which are summed afterwards."""
+        only("")
         held: dict[str, list[np.ndarray]] = {}
-        for batch in batches:
-            for text, lang in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                held.setdefault(lang, []).append(np.frombuffer(letters(text), np.uint8))
-        for lang, texts in held.items():
+        sizes: dict[str, int] = {}
+
+        def part(lang: str) -> Iterator[pa.RecordBatch]:
+            texts, sizes[lang] = held.pop(lang), 0
             every = sum(max(len(t) - n + 1, 0) for t in texts for n in SIZES)
             yield pa.RecordBatch.from_arrays([pa.array([lang], pa.string()), pa.array([ALL], pa.int64()), pa.array([every], pa.int64())], ["lang", "code", "n"])
             for n in SIZES:
                 code, c = np.unique(np.concatenate([grams(t, n) for t in texts]), return_counts=True)
                 yield pa.RecordBatch.from_arrays([pa.array([lang] * len(code), pa.string()), pa.array(code.astype(np.int64)), pa.array(c.astype(np.int64))], ["lang", "code", "n"])
 
+        for batch in batches:
+            for text, lang in zip(batch.column(0), batch.column(1).to_pylist(), strict=True):
+                held.setdefault(lang, []).append(np.frombuffer(letters(text.as_py()), np.uint8))
+                sizes[lang] = sizes.get(lang, 0) + len(held[lang][-1])
+                if sizes[lang] >= most:
+                    yield from part(lang)
+        for lang in list(held):
+            yield from part(lang)
+
     counted = drawn.select("text", "lang").mapInArrow(count, "lang string, code long, n long").groupBy("lang", "code").agg(F.sum("n").alias("n")).where((F.col("n") >= least) | (F.col("code") == ALL))
     got = counted.toArrow()
     which = np.array([names.index(x) for x in got["lang"].to_pylist()], np.int64)

@@ -155,6 +155,21 @@ def test_hidden_is_an_attribute():
         assert at(gone) == [-1], gone
 
 
+def test_language_counts_in_parts(spark, monkeypatch):
+    """A task held the n-grams of all texts of a language at once before."""
+    import numpy as np
+
+    from probejoin.llm import langid
+
+    rows = [(f"the {k} cats and dogs sit near {k % 7}" if k % 2 else f"die {k} Katzen und Hunde bei {k % 5}", "en" if k % 2 else "de") for k in range(60)]
+    frame = spark.createDataFrame(rows, "text string, lang string").coalesce(1)
+    whole = langid.train(frame)
+    monkeypatch.setattr(langid, "COUNTED_BYTES", 100)
+    parts = langid.train(frame)
+    assert whole.languages == parts.languages == ["de", "en"] and whole.table.any()
+    assert np.array_equal(whole.table, parts.table) and np.array_equal(whole.expected, parts.expected)
+
+
 def test_extraction_keeps_no_texts(spark, monkeypatch):
     """Texts and blocks of pages with an article were written beside their shuffle before."""
     kept, written = [], htmltext.written
