@@ -30,6 +30,18 @@ def test_connected_order_has_no_product():
     assert str(ordering.static(WORKLOADS["l8"].patterns)[1]) == "?y rdf:type Nation"
 
 
+def test_static_plan_forms_no_product_that_a_later_pattern_joins():
+    """`static` puts all orders beside the parts of one supplier; the orders wait for the parts' orders."""
+    for strategy in ("cascade", "multiway", "row"):
+        bound = set()
+        for p in [p for s in planner.plan(WORKLOADS["l7"], strategy, "static") for p in s.patterns]:
+            assert not bound or bound & set(p.vars)
+            bound |= set(p.vars)
+    apart = bgp("?a p ?b", "?c q ?d", "?d r ?e").patterns
+    assert ordering.deferred(apart) == list(apart)
+    assert [str(p) for p in ordering.deferred(bgp("?x a ?y", "?z b ?w", "c d e", "?y f ?z").patterns)] == ["?x a ?y", "c d e", "?y f ?z", "?z b ?w"]
+
+
 @pytest.mark.parametrize(("w", "cascade", "multiway"), [("l1", 1, 1), ("l4", 4, 1), ("l7", 3, 2), ("l8", 4, 3), ("s1", 2, 1), ("s2", 8, 1), ("x2", 3, 3), ("l6", 1, 1)])
 def test_phases(w, cascade, multiway):
     assert phases(planner.plan(WORKLOADS[w], "cascade")) == cascade
