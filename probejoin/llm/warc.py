@@ -59,6 +59,11 @@ def _table(folder: str) -> str:
     return "warc_payloads_" + hashlib.sha1(folder.encode()).hexdigest()[:16]
 
 
+def _once(rows: DataFrame) -> DataFrame:
+    """Each payload once, of whichever row, as equal addresses are equal bytes: payloads cross the network once, after a sum by task."""
+    return rows.select("address", "payload").dropDuplicates(["address"])
+
+
 def write(pages: DataFrame, folder: str, id_col: str = "page_id", url_col: str = "url", payload_col: str = "html", revisit_from: int = 0) -> None:
     """Write the archive below folder, which executors share."""
     payload = F.coalesce(F.col(payload_col).cast("binary"), F.lit("").cast("binary"))
@@ -72,8 +77,7 @@ def write(pages: DataFrame, folder: str, id_col: str = "page_id", url_col: str =
     )
     records = marked.select("id", "address", F.when(F.col("revisits"), _header("revisit")).otherwise(_header("response")).cast("binary").alias("header"))
     records.write.option("compression", "zstd").parquet(f"{folder}/records")
-    # one row for each address: the row of the smallest id; rows that repeat it are the same bytes
-    once = rows.select("id", "address", "payload").join(firsts, "address").where(F.col("id").eqNullSafe(F.col("first"))).select("address", "payload").dropDuplicates(["address"])
+    once = _once(rows)
     # bucketed as it lies after the aggregation, so that reading it does not move payloads again
     n = int(pages.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     once.write.format("parquet").option("compression", "zstd").option("path", f"{folder}/payloads").bucketBy(n, "address").saveAsTable(_table(folder))

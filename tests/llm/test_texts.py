@@ -130,6 +130,15 @@ def test_archive(spark):
     assert warc.archive(pages.limit(0)).count() == 0
 
 
+def test_payloads_cross_the_network_once(spark):
+    """One exchange for all distinct payloads; a join on the id before it moved every payload twice."""
+    rows = spark.createDataFrame([(1, "a", b"x"), (2, "a", b"x"), (3, "b", b"y")], "id long, address string, payload binary").repartition(3)
+    once = warc._once(rows)
+    plan = once._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange hashpartitioning(") == 1 and "Join" not in plan
+    assert sorted(tuple(r) for r in once.collect()) == [("a", b"x"), ("b", b"y")]
+
+
 PAGE = '<html><head><title>t</title><style>p{}</style></head><body><header>H</header><div class="cookie-notice">C</div><nav><ul><li>q</ul></nav><main><article><header><h1>T &amp; &eacute;</h1></header><p>One <b>two</b>\n  three<p class="ad">no<p>Four<br>five<div class="share-bar">S</div><ul><li>l1<li>l2</ul><aside>A</aside><section id="comments"><p>bad</p></section></article></main><form><input>F</form><footer>f</footer><script>var a="</p>";if(a<b){}</script></body></html>'
 
 
