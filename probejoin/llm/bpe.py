@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 
 from probejoin.llm.common import HELD, ODD_SPACE, lean, only
 
-#: Entries of a generation of what a worker keeps of words and chunks, and half those of pairs; other operators' tasks drop it.
+#: Entries of a generation of what a worker keeps of chunks, twice those of words and half those of pairs; other operators' tasks drop it.
 KEPT = 100_000
 _END = 0x10000
 _ENCODERS: dict[str, "PrefixEncoder"] = {}
@@ -59,7 +59,9 @@ class PrefixEncoder:
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
         model = spec["model"]
-        self.library = Tokenizer.from_file(path)
+        library = Tokenizer.from_file(path)
+        self.normalizer, self.pre_tokenizer = library.normalizer, library.pre_tokenizer  # not its vocabulary, which is here already
+        del library
         self.suffix = model["end_of_word_suffix"] or ""
         self.vocab: dict[str, int] = model["vocab"]
         self.names = {i: s for s, i in self.vocab.items()}
@@ -69,11 +71,14 @@ class PrefixEncoder:
         for k, pair in enumerate(model["merges"]):
             a, b = pair.split(" ") if isinstance(pair, str) else pair
             x, y, z = self.vocab[a], self.vocab[b], self.vocab[a + b]
-            self.rank.setdefault((x, y), k)
+            both = (x, y)
+            self.rank.setdefault(both, k)
             if z not in self.parts:
-                self.parts[z], self.made[z] = (x, y), k
+                self.parts[z], self.made[z] = both, k
         self.specials = {t["content"]: t["id"] for t in spec["added_tokens"]}
         self.names |= {i: s for s, i in self.specials.items()}
+        #: Ids as text: a chunk of one token keeps this one and its name, and no copies.
+        self.digits = {i: str(i) for i in self.names}
         self.special_cut = regex.compile("(" + "|".join(regex.escape(s) for s in self.specials) + ")") if self.specials else None
         self.automaton = ahocorasick.Automaton()
         for s, i in self.vocab.items():
@@ -87,7 +92,7 @@ class PrefixEncoder:
         self.easy = regex.compile("[\x21-\x7e\xc0-\xd6\xd8-\xf6\xf8-\xff]+")
         self.byte_table = str.maketrans({chr(b): c for b, c in self._byte_names().items()})
         self.pairs: dict[tuple[int, int], bool] = {}
-        self.words = Kept(KEPT)
+        self.words = Kept(KEPT // 2)  # asked only for chunks that are not kept
         self.chunks = Kept(KEPT)
 
     @staticmethod
@@ -203,8 +208,8 @@ class PrefixEncoder:
                 for piece in self.plain.findall(part.lower()):
                     out += self.piece(piece)
             elif part:
-                text = self.library.normalizer.normalize_str(part) if self.library.normalizer else part
-                for piece, _ in self.library.pre_tokenizer.pre_tokenize_str(text):
+                text = self.normalizer.normalize_str(part) if self.normalizer else part
+                for piece, _ in self.pre_tokenizer.pre_tokenize_str(text):
                     out += self.word(piece)
         return out
 
@@ -213,7 +218,7 @@ class PrefixEncoder:
         got = self.chunks.get(chunk)
         if got is None:
             ids = self.ids(chunk)
-            got = (len(ids), " ".join(map(str, ids)), " ".join([self.names[i] for i in ids]))
+            got = (len(ids), " ".join([self.digits[i] for i in ids]), " ".join([self.names[i] for i in ids]))
             if len(chunk) < 64:
                 self.chunks.put(chunk, got)
         return got

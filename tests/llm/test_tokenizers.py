@@ -3,11 +3,12 @@
 import hashlib
 import random
 
+import numpy as np
 import public_tokenizers
 import pytest
 from tokenizers import Tokenizer, models, pre_tokenizers
 
-from probejoin.llm import bpe, unigram
+from probejoin.llm import bpe, common, unigram
 
 BPE, PIECES = public_tokenizers.path("word_bpe_49k.json"), public_tokenizers.path("piece_bpe_32k.model")
 
@@ -54,3 +55,14 @@ def test_unigram_is_exact(small):
 def test_unigram_rows(spark):
     df = spark.createDataFrame([(1, "the cat"), (None, None), (2, "")], "doc_id long, text string")
     assert sorted(r["n_tokens"] for r in unigram.count_tokens(df, PIECES).collect())[:2] == [0, 0]
+
+
+def test_encoder_keeps_no_second_vocabulary():
+    """Pipeline workers also hold what Spark holds: powers of earlier stages go, and chunks of one token share the names."""
+    common.prefix_hash(np.zeros(100_000, np.uint8), common.BASES[0])
+    common.only("bpe")
+    assert not common._POWERS
+    enc = bpe.encoder(BPE)
+    assert not any(type(v).__name__ == "Tokenizer" for v in vars(enc).values())
+    n, ids, name = enc.chunk("the")
+    assert n == 1 and ids is enc.digits[int(ids)] and name is enc.names[int(ids)]
