@@ -8,7 +8,26 @@ from collections import Counter
 import numpy as np
 import pytest
 
-from probejoin.llm import components, jaccard, suffix, sufdedup, vectorjoin
+from probejoin.llm import common, components, jaccard, suffix, sufdedup, vectorjoin
+
+
+def test_hashes_of_all_windows():
+    """By slices as place by place."""
+    codes = np.random.default_rng(3).integers(0, 256, 500).astype(np.uint8)
+    before, starts = common.prefix_hash(codes, common.BASES[0]), np.arange(201)
+    assert (common.window_hash(before, 300, common.BASES[0]) == common.span_hash(before, starts, starts + 300, common.BASES[0])).all()
+    assert len(common.window_hash(before, 500, common.BASES[0])) == 1
+
+
+def test_shingle_sets_lie_one_after_another():
+    """Each text's distinct shingles in rising order, whatever its neighbours hold."""
+    texts = ["a b c d e f g a b c d e f g", None, "x", "", "g f e d c b a " * 3, "A b c d e f g"]
+    value, start = jaccard.sets_of(texts, 5)
+    for k, text in enumerate(texts):
+        own = value[start[k] : start[k + 1]]
+        words = (text or "").lower().split()
+        assert (np.diff(own) > 0).all() and len(own) == len({tuple(words[i : i + 5]) for i in range(max(1, len(words) - 4))} if words else ())
+    assert set(value[start[5] :].tolist()) < set(value[: start[1]].tolist())
 
 
 @pytest.mark.parametrize("few", [1024, 3, 1])
