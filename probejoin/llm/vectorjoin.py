@@ -34,7 +34,10 @@ from probejoin.llm.components import components
 
 #: Slack of the share in a block, and of the coarser test in single precision.
 EXACT, COARSE = 1e-5, 3e-5
-CHUNK = 1024
+#: Vectors of each side that are compared at a time: their distances stay in a core's cache.
+ACROSS, DOWN = 512, 1024
+#: Components of the vectors of a slice; fewer and larger slices mean fewer copies of each vector.
+SLICE_NUMBERS = 2 << 20
 
 
 def _matrix(column: pa.Array, d: int) -> np.ndarray:
@@ -80,6 +83,43 @@ def _hung(n: int, a: np.ndarray, b: np.ndarray, ids: np.ndarray) -> np.ndarray:
     return label
 
 
+def candidates(y: np.ndarray, left: np.ndarray, right: np.ndarray | None, most: float, reach: float) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Pairs of rows of y, one of left and one of right (two different ones of left if that is None), whose squared distance is at most `most`.
+
+    Both sides go in order of the first coordinate, and only rows within reach of it are compared.
+    Squares and the bound ride along as two more coordinates, so that one product gives what is
+    above the bound, and only rows with something below it are looked at.
+    """
+    first = y[:, 0].astype(np.float64)
+    own = np.flatnonzero(left)
+    own = own[np.argsort(first[own], kind="stable")]
+    if right is None:
+        other = own
+    else:
+        other = np.flatnonzero(right)
+        other = other[np.argsort(first[other], kind="stable")]
+    w, square = y.shape[1], (y.astype(np.float64) ** 2).sum(axis=1)
+    to = np.empty((w + 2, len(other)), np.float32)
+    to[:w], to[w], to[w + 1] = y[other].T, 1, square[other]
+    at_other = first[other]
+    for at in range(0, len(own), ACROSS):
+        a = own[at : at + ACROSS]
+        mine = np.empty((len(a), w + 2), np.float32)
+        mine[:, :w], mine[:, w], mine[:, w + 1] = -2 * y[a], square[a] - most, 1
+        low, high = np.searchsorted(at_other, first[a[0]] - reach), np.searchsorted(at_other, first[a[-1]] + reach, side="right")
+        for lo in range(max(low, at) if right is None else low, high, DOWN):
+            hi = min(lo + DOWN, high)
+            over = mine @ to[:, lo:hi]
+            hit = np.flatnonzero(over.min(axis=0) <= 0)
+            if len(hit):
+                p, q = np.nonzero(over[:, hit] <= 0)
+                q = hit[q]
+                if right is None:
+                    keep = at + p < lo + q
+                    p, q = p[keep], q[keep]
+                yield a[p], other[lo + q]
+
+
 def _joined(reps: DataFrame, d: int, cosine: float, n_blocks: int, slice_rows: int) -> DataFrame:
     """Rows (v, n, label) for each vector and tile in which it has partners."""
     spark = reps.sparkSession
@@ -126,28 +166,15 @@ def _joined(reps: DataFrame, d: int, cosine: float, n_blocks: int, slice_rows: i
                     yield pa.RecordBatch.from_arrays([pa.array(np.full(len(w), b, np.int32)), pa.array(i[s].astype(np.int32)), pa.array(k[s].astype(np.int32)), pa.array(home[row[s]].astype(np.int32)), batch.column(0).take(pa.array(row[s])), batch.column(1).take(pa.array(row[s])), pa.FixedSizeBinaryArray.from_buffers(pa.binary(w.itemsize * d), len(w), [None, pa.py_buffer(np.ascontiguousarray(w))]).cast(pa.binary())], ["b", "i", "k", "home", "v", "m", "x"])
 
     def tile(table: pa.Table) -> pa.Table:
-        turn, owned, budget, _, _ = sent.value
+        turn, owned, budget, reach, _ = sent.value
         b, i, k = (table[c][0].as_py() for c in ("b", "i", "k"))
         ids, weight, home = table["v"].to_numpy(), table["m"].to_numpy(), table["home"].to_numpy()
-        raw = np.frombuffer(b"".join(table["x"].to_pylist()), kind).reshape(-1, d).astype(np.float64)
-        unit = _unit(raw)
+        unit = _unit(np.frombuffer(b"".join(table["x"].to_pylist()), kind).reshape(-1, d).astype(np.float64))
         y = (unit @ turn[:, owned[b]]).astype(np.float32)
-        square = (y * y).sum(axis=1)
-        left = np.flatnonzero(home == i)
-        right = left if i == k else np.flatnonzero(home == k)
         found = []
-        for at in range(0, len(left), CHUNK):
-            a = left[at : at + CHUNK]
-            for to in range(at if i == k else 0, len(right), CHUNK):
-                c = right[to : to + CHUNK]
-                far = square[a][:, None] + square[c][None, :] - 2 * (y[a] @ y[c].T)
-                p, q = np.nonzero(far <= np.float32(budget[b] + COARSE))
-                p, q = a[p], c[q]
-                if i == k:
-                    keep = p < q
-                    p, q = p[keep], q[keep]
-                for z in range(0, len(p), 1 << 16):
-                    found.append(_verified(p[z : z + (1 << 16)], q[z : z + (1 << 16)], unit, turn, owned, budget, b, cosine))
+        for p, q in candidates(y, home == i, None if i == k else home == k, float(budget[b] + COARSE), float(reach[b])):
+            for z in range(0, len(p), 1 << 16):
+                found.append(_verified(p[z : z + (1 << 16)], q[z : z + (1 << 16)], unit, turn, owned, budget, b, cosine))
         p, q = (np.concatenate(f) if found else np.empty(0, np.int64) for f in zip(*found, strict=True)) if found else (np.empty(0, np.int64),) * 2
         n = np.bincount(p, weights=weight[q], minlength=len(ids)) + np.bincount(q, weights=weight[p], minlength=len(ids)) if len(p) else np.zeros(len(ids))
         label = _hung(len(ids), p, q, ids)
@@ -172,8 +199,8 @@ def _verified(p, q, unit, turn, owned, budget, b, cosine) -> tuple[np.ndarray, n
     return p, q
 
 
-def join(vectors: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", cosine: float = 0.95, n_blocks: int = 4, slice_rows: int = 8192) -> DataFrame:
-    """Per row: id_col, n_links, component_id, kept."""
+def join(vectors: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", cosine: float = 0.95, n_blocks: int = 4, slice_rows: int | None = None) -> DataFrame:
+    """Per row: id_col, n_links, component_id, kept. slice_rows is the vectors of a slice, by default as many as have SLICE_NUMBERS components."""
     rows = vectors.select(F.col(id_col).alias("id"), F.col(vector_col).alias("vector"))
     sound = F.coalesce(F.forall("vector", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & F.exists("vector", lambda x: x != 0), F.lit(False))
     rows = rows.withColumn("vector", F.when(sound, F.col("vector")))
@@ -182,7 +209,7 @@ def join(vectors: DataFrame, id_col: str = "vec_id", vector_col: str = "embeddin
     lengths = [r["d"] for r in classes.select(F.size("vector").alias("d")).distinct().collect()]
     parts = None
     for d in sorted(lengths):
-        part = _joined(classes.where(F.size("vector") == d), d, cosine, n_blocks, slice_rows)
+        part = _joined(classes.where(F.size("vector") == d), d, cosine, n_blocks, slice_rows or max(1024, SLICE_NUMBERS // d))
         parts = part if parts is None else parts.unionByName(part)
     if parts is None:
         parts = classes.select("v", F.col("m").alias("n"), F.col("v").alias("label")).limit(0)

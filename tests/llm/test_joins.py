@@ -221,6 +221,25 @@ def test_components(spark):
     assert got == {**dict.fromkeys(range(41), 0), 100: 100, 101: 100, 102: 100, 150: 150, 200: 150}
 
 
+def test_vectors_are_compared_within_reach(monkeypatch):
+    """All pairs within the bound, each once, and rows that the first coordinate tells apart in no product."""
+    monkeypatch.setattr(vectorjoin, "ACROSS", 7)
+    monkeypatch.setattr(vectorjoin, "DOWN", 5)
+    y = np.random.default_rng(8).normal(size=(300, 3)).astype(np.float32)
+    y[200:] = y[:100] + np.float32(0.01)
+    far = ((y[:, None].astype(np.float64) - y[None]) ** 2).sum(axis=2)
+    left = np.arange(300) % 3 == 0
+    for right in (None, np.arange(300) % 3 == 1):
+        got = [(int(a), int(b)) for p, q in vectorjoin.candidates(y, left, right, 0.04, 0.2) for a, b in zip(p, q, strict=True)]
+        other = left if right is None else right
+        wanted = {(a, b) for a, b in zip(*np.nonzero(far <= 0.04), strict=True) if left[a] and other[b] and (right is not None or a < b)}
+        assert len(got) == len(set(got)) and {(min(x), max(x)) if right is None else x for x in got} == wanted
+    y[left, 0] += 100
+    y[~left] = np.nan  # a product with one of these would be a warning or a hit
+    y[~left, 0] = np.arange(200)
+    assert not list(vectorjoin.candidates(y, left, ~left & (y[:, 0] < 90), 0.04, 0.2))
+
+
 def test_vectors_in_double_precision(spark):
     # the second pair's cosine is below the threshold by less than single precision can tell
     angle = np.arccos(0.95)
