@@ -4,7 +4,8 @@ Item and text are lower-cased and every run of what is neither letter nor digit
 space. A region of the text within e edits of an item of m bytes shares at least
 m - q + 1 - q * e of its q-grams, all on diagonals (text place less item place) that are at
 most e apart. Hits are counted in overlapping diagonal bands of width 2 (e + 1), each hit in
-two of them; bands that reach the bound are verified by an alignment restricted to the band.
+two of them; bands that reach the bound are verified by an alignment restricted to the band,
+if one without restriction, by bits, is not beyond e. Short texts are looked up together.
 e is `edits` times m (default a tenth). Items of fewer than `least` bytes, for which the
 bound would be void, must occur exactly and as whole words.
 
@@ -80,6 +81,50 @@ def banded_edits(item: bytes, region: bytes, most: int) -> tuple[int, int] | Non
     return (int(row[end]), end) if row[end] <= most else None
 
 
+def masks(item: bytes) -> dict[int, int]:
+    """For each byte of item, the places where it stands, as bits of a number."""
+    out: dict[int, int] = {}
+    for i, c in enumerate(item):
+        out[c] = out.get(c, 0) | 1 << i
+    return out
+
+
+def may_hold(places: dict[int, int], m: int, region: bytes, most: int) -> bool:
+    """Whether some stretch of region is within `most` edits of the item of m bytes whose masks are given.
+
+    A column of differences of the edit table is two numbers, one bit for each byte of the item,
+    so that a byte of the region costs a few operations on them.
+    """
+    if m <= most:
+        return True
+    full, last = (1 << m) - 1, 1 << (m - 1)
+    up, down, score, left = full, 0, m, len(region)
+    get = places.get
+    for c in region:
+        same = get(c, 0)
+        diagonal = (((same & up) + up) ^ up) | same
+        right = down | (full & ~(diagonal | up))
+        falls = up & diagonal
+        if right & last:
+            score += 1
+        elif falls & last:
+            score -= 1
+            if score <= most:
+                return True
+        left -= 1
+        if score - left > most:  # falls by one a byte at most
+            return False
+        right <<= 1
+        same |= down
+        up = full & ((falls << 1) | ~(same | right))
+        down = right & same & full
+    return False
+
+
+#: Bytes of normalised texts whose q-grams are looked up together, and of a longer text at a time.
+TOGETHER, STEP = 1 << 18, 1 << 20
+
+
 class ItemIndex:
     """q-grams of a block of items with their places."""
 
@@ -88,7 +133,8 @@ class ItemIndex:
         self.most = [int(edits * len(p)) if len(p) >= least else 0 for _, p in self.items]
         self.short = [k for k, (_, p) in enumerate(self.items) if len(p) < least]
         self.bound = np.array([max(1, len(p) - Q + 1 - Q * e) for (_, p), e in zip(self.items, self.most, strict=True)], np.int64)
-        long = [k for k in range(len(self.items)) if k not in set(self.short)]
+        short = set(self.short)
+        long = [k for k in range(len(self.items)) if k not in short]
         code = [codes(self.items[k][1]) for k in long]
         flat = np.concatenate(code) if code else np.empty(0, np.uint64)
         item = np.repeat(np.array(long, np.int64), [len(c) for c in code]) if code else np.empty(0, np.int64)
@@ -100,12 +146,13 @@ class ItemIndex:
         self.seen = np.zeros(1 << _BITS, np.bool_)
         self.seen[_slot(self.code)] = True
         self.band = np.array([2 * (e + 1) for e in self.most], np.int64)
+        self.masks: dict[int, dict[int, int]] = {}
 
-    def hits(self, data: bytes, at: int = 0) -> tuple[np.ndarray, np.ndarray]:
-        """Items and diagonals of all shared q-grams."""
+    def hits(self, data: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Items, places in data and places in the item of all shared q-grams."""
         own = codes(data)
         if not len(own) or not len(self.code):
-            return np.empty(0, np.int64), np.empty(0, np.int64)
+            return (np.empty(0, np.int64),) * 3
         where = np.flatnonzero(self.seen[_slot(own)])
         own = own[where]
         k = np.searchsorted(self.code, own)
@@ -114,23 +161,62 @@ class ItemIndex:
         where, k = where[same], k[same]
         n = self.end[k] - self.start[k]
         spread = np.repeat(self.start[k] - np.concatenate(([0], np.cumsum(n)[:-1])), n) + np.arange(n.sum()) if len(n) else np.empty(0, np.int64)
-        return self.item[spread], np.repeat(where, n) + at - self.place[spread]
+        return self.item[spread], np.repeat(where, n), self.place[spread]
 
     def find(self, text: str | None) -> list[tuple[object, int, int, int]]:
         """(item id, edits, start, end) of each item's best region; places in the normalised text."""
-        if not text or not self.items:
-            return []
-        data = plain(text)
+        return self.find_all([text])[0]
+
+    def find_all(self, texts: list[str | None]) -> list[list[tuple[object, int, int, int]]]:
+        """What find gives for each text; short texts are looked up together."""
+        out: list[list] = [[] for _ in texts]
+        held: list[tuple[int, bytes]] = []
+        size = 0
+        for n, text in enumerate(texts):
+            if not text or not self.items:
+                continue
+            data = plain(text)
+            if len(data) > STEP:
+                found = [self.hits(data[a : a + STEP + Q - 1]) for a in range(0, len(data) - Q + 1, STEP)]
+                diagonal = np.concatenate([w - p + a * STEP for a, (_, w, p) in enumerate(found)])
+                out[n] = self._regions(data, np.concatenate([f[0] for f in found]), diagonal)
+                continue
+            held.append((n, data))
+            size += len(data)
+            if size >= TOGETHER:
+                self._find_held(held, out)
+                held, size = [], 0
+        self._find_held(held, out)
+        return out
+
+    def _find_held(self, held: list[tuple[int, bytes]], out: list[list]) -> None:
+        """Puts the finds of some texts into out. Between texts is a byte that no item has, so no q-gram spans two."""
+        if not held:
+            return
+        item, where, place = self.hits(b"\0".join(data for _, data in held))
+        start = np.concatenate(([0], np.cumsum([len(data) + 1 for _, data in held])))
+        doc = np.searchsorted(start, where, side="right") - 1
+        # a band holds at most the hits that text and item share at all
+        pair = doc * len(self.items) + item
+        if len(held) * len(self.items) <= 1 << 20:
+            shared = np.bincount(pair, minlength=1)[pair] if len(pair) else pair
+        else:
+            _, inverse, n = np.unique(pair, return_inverse=True, return_counts=True)
+            shared = n[inverse]
+        keep = np.flatnonzero(shared >= self.bound[item])
+        item, doc, diagonal = item[keep], doc[keep], (where - place)[keep] - start[doc[keep]]
+        cut = np.searchsorted(doc, np.arange(len(held) + 1))
+        for k, (n, data) in enumerate(held):
+            if cut[k] < cut[k + 1] or self.short:
+                out[n] = self._regions(data, item[cut[k] : cut[k + 1]], diagonal[cut[k] : cut[k + 1]])
+
+    def _regions(self, data: bytes, item: np.ndarray, diagonal: np.ndarray) -> list[tuple[object, int, int, int]]:
         best: dict[int, tuple[int, int, int]] = {}
         padded = b" " + data + b" " if self.short else b""
         for k in self.short:
             if (at := padded.find(b" " + self.items[k][1] + b" ")) >= 0:
                 best[k] = (0, at, at + len(self.items[k][1]))
-        step = 1 << 20
-        found = [self.hits(data[a : a + step + Q - 1], a) for a in range(0, max(len(data) - Q + 1, 0), step)]
-        item = np.concatenate([f[0] for f in found]) if found else np.empty(0, np.int64)
         if len(item):
-            diagonal = np.concatenate([f[1] for f in found])
             width = self.band[item]
             # places of bands start at zero: diagonals are at least minus the item's length
             low = diagonal + (1 << 24)
@@ -150,6 +236,8 @@ class ItemIndex:
         region = data[a:b]
         if (at := region.find(item)) >= 0:
             got = (0, a + at, a + at + len(item))
+        elif not may_hold(self.masks.get(k) or self.masks.setdefault(k, masks(item)), len(item), region, most):
+            return
         elif near := banded_edits(item, region, most):
             got = (near[0], max(a, a + near[1] - len(item)), a + near[1])
         else:
@@ -181,7 +269,7 @@ def leaks(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: s
             only("")
             index = ItemIndex(sent.value, edits)
             for batch in batches:
-                rows = [(i.as_py(), *got) for i, t in zip(batch.column(0), batch.column(1), strict=True) for got in index.find(t.as_py())]
+                rows = [(i, *got) for i, own in zip(batch.column(0).to_pylist(), index.find_all(batch.column(1).to_pylist()), strict=True) for got in own]
                 yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], t) for k, t in enumerate(types)], schema.names)
 
         part = docs.select(id_col, text_col).mapInArrow(run, schema)
@@ -199,7 +287,7 @@ def clean(docs: DataFrame, items: DataFrame, text_col: str = "text", edits: floa
             only("")
             index = ItemIndex(sent.value, edits)
             for batch in batches:
-                yield batch.filter(pa.array([not index.find(t.as_py()) for t in batch.column(at)], pa.bool_()))
+                yield batch.filter(pa.array([not own for own in index.find_all(batch.column(at).to_pylist())], pa.bool_()))
 
         docs = docs.mapInArrow(run, docs.schema)
     return docs

@@ -75,6 +75,26 @@ def test_decontamination_finds_what_edits_allow():
     assert index.find("a Short, one b")[0][:2] == (99, 0) and not index.find("shorter one") and not index.find(None)
 
 
+def test_decontamination_of_many_texts(monkeypatch):
+    """Edits by bits against the table of all edits, and texts looked up together against each by itself."""
+    rng = np.random.default_rng(12)
+    word = lambda n: bytes(rng.choice(list(b"abc "), n).tolist())
+    for m, n in ((1, 5), (8, 0), (20, 30), (70, 90), (70, 40)):
+        for _ in range(20):
+            item, region = word(m), word(n)
+            least = edits_brute(item, region)
+            assert [decontam.may_hold(decontam.masks(item), m, region, e) for e in (least - 1, least)] == [False, True]
+    items = [(k, " ".join("".join(rng.choice(list("abcdefgh"), 6)) for _ in range(12 if k % 5 else 3))) for k in range(40)]
+    texts = [None, "", "x"] + [" ".join((items[k][1][3:], "y z", items[(k * 7) % 40][1], items[k][1][:40]))[k % 3 :] for k in range(40)]
+    index = decontam.ItemIndex(items)
+    want = [index.find(t) for t in texts]
+    assert sum(map(len, want)) > 40
+    for together, step in ((1 << 18, 1 << 20), (150, 1 << 20), (150, 60)):
+        monkeypatch.setattr(decontam, "TOGETHER", together)
+        monkeypatch.setattr(decontam, "STEP", step)
+        assert index.find_all(texts) == want
+
+
 def test_decontamination_of_tables(spark):
     docs, items = table(spark, SF, "documents"), table(spark, SF, "benchmark")
     texts = {r["item_id"]: r["text"] for r in items.collect()}
