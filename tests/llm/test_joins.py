@@ -6,6 +6,7 @@ import re
 from collections import Counter
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from probejoin.llm import common, components, jaccard, suffix, sufdedup, vectorjoin
@@ -116,6 +117,26 @@ def test_repeats_behind_a_stretch(spark, over):
     assert got == [400, 400, 0]
 
 
+def test_anchors_do_not_travel(monkeypatch):
+    """Shards sort what is around anchors, with a name for each anchor, and find the windows that lie at two places."""
+    s, rng, given = sufdedup.Shape(400), np.random.default_rng(5), []
+    texts = [rng.integers(97, 123, 1500).astype(np.uint8) for _ in range(3)]
+    texts[1][200:640] = texts[0][700:1140]
+    texts[2][:399] = texts[0][:399]
+    found = sufdedup.repeated_windows
+    monkeypatch.setattr(sufdedup, "repeated_windows", lambda text, room, length: given.append(len(text)) or found(text, room, length))
+    rows = []
+    for d, text in enumerate(texts):
+        a = sufdedup.anchors(text, s)
+        rows += [(d, lo, hi, h, p, text[lo:p].tobytes() + text[p + s.k : hi].tobytes()) for h, p, lo, hi in zip(a["h"].view(np.int64).tolist(), *(a[c].tolist() for c in ("place", "lo", "hi")), strict=True)]
+    facts = np.array([r[:5] for r in rows], np.int64).T
+    table = pa.table({"block": pa.array([7], pa.int32()), "blob": [sufdedup.zipped(b"".join(r[5] for r in rows))], "more": [sufdedup.packed(facts.reshape(-1))]})
+    got = sufdedup._sort_shard(table, s)
+    assert got["block"].to_pylist() == [7]
+    assert [x.tolist() for x in sufdedup._unspans(got["blob"][0].as_py())] == [[0, 1], [700, 200], [1140, 640]]
+    assert sum(given) <= len(rows) * (2 * (s.length - s.k) + sufdedup.NAME + 1)
+
+
 def test_repeats_of_nothing(spark):
     assert sufdedup.repeats(spark.createDataFrame([], "doc_id long, text string")).count() == 0
     one = sufdedup.repeats(spark.createDataFrame([(None, "é" * 900), (None, "é" * 900)], "doc_id long, text string"), texts=True).collect()
