@@ -103,3 +103,11 @@ def test_what_axioms_add_comes_from():
     assert closure.below(AXIOMS, "Party") >= {"Customer", "Supplier", "BuildingCustomer"} and not closure.below(AXIOMS, "LineItem")
     both_ways = [("q", "subPropertyOf", "p"), ("q", "inverseOf", "p")]
     assert closure.behind(both_ways, "p", {"p"})[0] == {"p"}  # its own triples turned
+
+
+@pytest.mark.parametrize("name", ["six_tp_xxx"])
+def test_free_pattern_gives_its_mappings(spark, name):
+    """The pattern of three variables gave counts by predicate instead of its triples before."""
+    df = QUERIES[name](spark, SF)
+    assert sorted(df.columns) == ["o", "p", "s"]
+    assert not df.where("s = 'order/5' and p = 'placedBy' and o like 'customer/%'").isEmpty() and df.count() > 31
