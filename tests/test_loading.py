@@ -1,5 +1,7 @@
 """Loading of the indexes: in parts, without shuffle files that stay, and only what is asked for; queries that read a table."""
 
+import os
+
 import duckdb
 import pytest
 
@@ -111,3 +113,37 @@ def test_free_pattern_gives_its_mappings(spark, name):
     df = QUERIES[name](spark, SF)
     assert sorted(df.columns) == ["o", "p", "s"]
     assert not df.where("s = 'order/5' and p = 'placedBy' and o like 'customer/%'").isEmpty() and df.count() > 31
+
+
+@pytest.mark.parametrize("again", [False, True])
+def test_a_table_is_dealt_once_for_all_its_predicates(spark, monkeypatch, again):
+    """Each predicate read, dealt and ordered its whole table before."""
+    monkeypatch.setattr(rowindex, "GROUP_ROWS", 2)  # in slices
+    rows = [("a", "1", "x"), ("b", None, "x"), ("c", "2", None), ("d", None, None)] + [("a", "1", "y"), ("a", "1", "x")] * again
+    asked = []
+
+    def source(units):
+        asked.extend(units)
+        yield 1, spark.createDataFrame([("c", p, "z") for p, _ in units], "s string, p string, o string")
+
+    def tables(predicates):
+        if {"size", "kind"} <= set(predicates):
+            yield len(rows), spark.createDataFrame(rows, "row_key string, size string, kind string")
+
+    idx = rowindex.on_demand(spark, source, [("size", "kind"), ("name",)], f"table-{again}", 8, tables=tables)
+    want = sorted({(s, p, o) for s, size, kind in rows for p, o in (("size", size), ("kind", kind)) if o} | {("c", "name", "z")})
+    for _ in range(2):  # and not again
+        assert sorted(map(tuple, idx.asserted().select("s", "p", "o").collect())) == want and asked == [("name", None)]
+    assert not spark.catalog.tableExists(f"{idx.si}_rows")
+    shared = spark.conf.get("spark.checkpoint.dir").removeprefix("file://")
+    assert not any(f"{idx.si}_rows" in f for f in os.listdir(shared))  # what lay beside the index is gone
+
+
+def test_predicates_of_one_table(spark):
+    from probejoin.sources import triplify
+
+    got = triplify.alone(["ofOrder", "tax", "brand", "size", "name", "acctbal", "rdf:type", "segment"])
+    assert got == {"part": ["brand", "size"], "lineitem": ["ofOrder", "tax"]}  # others have names, balances and classes, too; a segment is alone
+    wide = triplify.beside(spark, SF, "lineitem", got["lineitem"])
+    one = triplify.triples(spark, SF, ("lineitem",), {"tax"}).select("s", "o")
+    assert sorted(map(tuple, wide.select("row_key", "tax").collect())) == sorted(map(tuple, one.collect()))
