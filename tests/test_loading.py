@@ -147,3 +147,20 @@ def test_predicates_of_one_table(spark):
     wide = triplify.beside(spark, SF, "lineitem", got["lineitem"])
     one = triplify.triples(spark, SF, ("lineitem",), {"tax"}).select("s", "o")
     assert sorted(map(tuple, wide.select("row_key", "tax").collect())) == sorted(map(tuple, one.collect()))
+
+
+def test_estimates_write_nothing(spark, tmp_path):
+    import shutil
+
+    from probejoin.queries import catalog
+
+    shutil.copytree(SF, tmp_path / "sf")
+    idx = catalog(spark, str(tmp_path / "sf"))
+    wanted = [("ofOrder", None), ("ofPart", None), ("inNation", None), ("rdf:type", "Supplier")]
+    got = idx.estimates(wanted)
+    assert not spark.catalog.tableExists(idx.si) and not spark.catalog.tableExists(idx.oi)
+    exact = catalog(spark, SF).stats(wanted)
+    for u in map(rowindex.named, wanted):
+        for k in ("n_triples", "n_subjects", "n_objects"):
+            assert abs(got[u][k] - exact[u][k]) <= 0.15 * exact[u][k]
+    assert idx.estimates(wanted) == got
