@@ -134,6 +134,9 @@ def test_a_table_is_dealt_once_for_all_its_predicates(spark, monkeypatch, again)
     want = sorted({(s, p, o) for s, size, kind in rows for p, o in (("size", size), ("kind", kind)) if o} | {("c", "name", "z")})
     for _ in range(2):  # and not again
         assert sorted(map(tuple, idx.asserted().select("s", "p", "o").collect())) == want and asked == [("name", None)]
+    few = rowindex.on_demand(spark, source, idx.groups, f"few-{again}", 8, tables=tables)
+    few.asserted([("size", None), ("kind", None)])
+    assert asked[1:] == [("size", None), ("kind", None)]  # one by one
     assert not spark.catalog.tableExists(f"{idx.si}_rows")
     shared = spark.conf.get("spark.checkpoint.dir").removeprefix("file://")
     assert not any(f"{idx.si}_rows" in f for f in os.listdir(shared))  # what lay beside the index is gone
